@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from typing import Protocol
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 
 def ascii_fold(c: Column) -> Column:
@@ -125,7 +125,7 @@ def pandas_matcher(function: Callable[[pd.DataFrame], pd.Series], least: float)
             for pdf in batches:
                 yield pdf.assign(score=function(pdf).astype("float64"))
 
-        schema = pairs.schema.add("score", "double")
+        schema = T.StructType([*pairs.schema.fields, T.StructField("score", T.DoubleType())])
         return pairs.mapInPandas(score, schema).where(F.col("score") >= least)
 
     return run

@@ -97,7 +97,7 @@ def partition_rollup(docs: DataFrame) -> DataFrame:
 def matches_by_language(matches: DataFrame, docs: DataFrame, langs: list[str]) -> DataFrame:
     left = docs.select(F.col("doc_id").alias("left_id"), F.col("lang").alias("left_lang"))
     right = docs.select(F.col("doc_id").alias("right_id"), F.col("lang").alias("right_lang"))
-    return matches.join(left, "left_id").join(right, "right_id").groupBy("left_lang").pivot("right_lang", langs).agg(F.count("*")).na.fill(0)
+    return matches.join(left, "left_id").join(right, "right_id").groupBy("left_lang").pivot("right_lang", langs).agg(F.count(F.lit(1))).na.fill(0)
 
 
 def block_size_quantiles(entities: DataFrame) -> DataFrame:

@@ -2,22 +2,26 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from ..operators import methods, pairs
+from ..operators import pairs
 from ..operators.layout import ordered
 from ..operators.partitioners import Partitioner
 from ..plans.durable import fresh
-from ..sources.tables import SCHEMAS
 
 
-def read_events(spark: SparkSession, path: str) -> DataFrame:
-    """Parquet files of events as a stream; ``path`` may name one file or a folder."""
+def read_stream(spark: SparkSession, path: str) -> DataFrame:
+    """Parquet files as a stream; ``path`` may name one file or a folder."""
+    schema = spark.read.parquet(path).schema
+    if _is_folder(spark, path):
+        return spark.readStream.schema(schema).parquet(path)
     folder, _, name = path.rpartition("/")
-    base = spark.read.parquet(path).schema
-    return spark.readStream.schema(base).option("pathGlobFilter", name).parquet(folder) if name.endswith(".parquet") and not _is_folder(spark, path) else spark.readStream.schema(base).parquet(path)
+    return spark.readStream.schema(schema).option("pathGlobFilter", name).parquet(folder)
+
+
+def read_events(spark: SparkSession, path: str) -> DataFrame:
+    """Events with an event time; times without a zone are taken in the session's."""
+    return read_stream(spark, path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def _is_folder(spark: SparkSession, path: str) -> bool:

@@ -1,6 +1,6 @@
 """Token-id rows of fixed length by best-fit-decreasing packing.
 
-Texts become ids where they are read; a text longer than a row is cut into segments without loss.
+Texts become byte-pair ids, by tiktoken, where they are read; a text longer than a row is cut into segments without loss.
 Segments are dealt to shards of a fixed expected size by a hash, and every shard is packed by
 itself: longest segment first, each into the open row with the least room that still fits, which a
 segment tree over the remaining capacities finds in O(log row length).
@@ -8,18 +8,42 @@ segment tree over the remaining capacities finds in O(log row length).
 
 from __future__ import annotations
 
+import base64
+import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from . import tokens
-
+#: Characters encoded at once; a longer text is cut before a single space between two others.
+CHUNK_CHARS = 200_000
+_BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
+_encodings: dict[tuple[str, str], object] = {}
 #: Segments that a shard holds on average.
 SHARD_SEGMENTS = 8192
 
 
+def load(path: str, pattern: str):
+    """The encoding of a ranks file, once per worker, without special tokens: their strings are ordinary text."""
+    if (path, pattern) not in _encodings:
+        import tiktoken
+
+        with open(path, "rb") as f:
+            ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, f)}
+        _encodings[path, pattern] = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+    return _encodings[path, pattern]
+
+
+def chunks(text: str, size: int = CHUNK_CHARS) -> Iterator[str]:
+    """Parts of about ``size`` characters whose ids, joined, are the text's."""
+    at = 0
+    while len(text) - at > size and (cut := _BOUNDARY.search(text, at + size)):
+        yield text[at : cut.start()]
+        at = cut.start()
+    yield text[at:]
+
+
 class CapacityTree:
     """Open rows by remaining capacity; ``best(n)`` is the least capacity >= n that has a row."""
 
@@ -73,35 +97,32 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int) -> list[list[int]]:
     return rows
 
 
-def pack(docs: DataFrame, path: str, row_tokens: int = 2048, eos_id: int = 50256, pad_id: int = 50256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def pack(docs: DataFrame, path: str, pattern: str, row_tokens: int = 2048, eos_id: int = 50256, pad_id: int = 50256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Packed rows: shard, row_no, n_tokens, token_ids (row_tokens little-endian uint16/uint32, padded), doc_ids, segment_starts (each segment's first place in its document's ids), cu_seqlens, position_resets (places where positions start at 0 again).
 
     Every text ends in ``eos_id``; a null or empty text gives that id alone. Repeated rows are
     packed as often as they occur, null ids are kept, further columns ignored. Positions inside
     a row start again at every segment. An empty table gives no rows.
     """
-    tokens_width = np.dtype("<u2" if max(eos_id, pad_id) < 1 << 16 and tokens.load(path).get_vocab_size() <= 1 << 16 else "<u4")
+    tokens_width = np.dtype("<u2" if max(eos_id, pad_id, load(path, pattern).max_token_value) < 1 << 16 else "<u4")
     width = tokens_width.itemsize
     kind = docs.schema[id_col].dataType
     eos = np.asarray([eos_id], dtype=tokens_width).tobytes()
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = tokens.Encoder(path, tokens.packed_ids(tokens_width))
+        encoding = load(path, pattern)
         for b in batches:
-            ids = b.column("i")
-            texts = [x or "" for x in b.column("t").to_pylist()]
-            row, out = 0, ([], [], [])
-            size = 0
-            for some in tokens.by_bytes(texts):
-                for pieces in encoder.batch(some):
-                    data = b"".join(pieces) + eos
-                    for at in range(0, len(data), row_tokens * width):
-                        out[0].append(row)
-                        out[1].append(at // width)
-                        out[2].append(data[at : at + row_tokens * width])
-                    size += len(data)
-                    row += 1
-                if size > 8 << 20 or row == len(texts):
+            ids, texts, n = b.column("i"), b.column("t"), b.num_rows
+            out, size = ([], [], []), 0
+            for row in range(n):
+                text = texts[row].as_py() or ""
+                data = b"".join([encoding.encode_to_numpy(part, disallowed_special=()).astype(tokens_width).tobytes() for part in chunks(text)]) + eos
+                for at in range(0, len(data), row_tokens * width):
+                    out[0].append(row)
+                    out[1].append(at // width)
+                    out[2].append(data[at : at + row_tokens * width])
+                size += len(data)
+                if size > 8 << 20 or row == n - 1:
                     yield pa.RecordBatch.from_arrays([ids.take(pa.array(out[0], pa.int64())), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], names=["id", "start", "ids"])
                     out, size = ([], [], []), 0
 

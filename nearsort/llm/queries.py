@@ -9,6 +9,7 @@ from . import decontaminate, fingerprint, language, packing, phrases, pieces, si
 
 #: Fixed names of the vocabulary files.
 BYTE_BPE = "byte_bpe_50k.json"
+BYTE_RANKS = "byte_bpe_50k.tiktoken"
 PIECE_BPE = "piece_bpe_32k.model"
 
 
@@ -37,7 +38,7 @@ def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(_table(spark, sf_dir, "documents"), public_tokenizers.path(BYTE_BPE))
+    return packing.pack(_table(spark, sf_dir, "documents"), public_tokenizers.path(BYTE_RANKS), public_tokenizers.PATTERN)
 
 
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:

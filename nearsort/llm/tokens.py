@@ -10,7 +10,6 @@ import os
 import re
 from collections.abc import Iterator
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
@@ -161,8 +160,3 @@ def token_counts(docs: DataFrame, path: str, limit: int = 1024, id_col: str = "d
 
     schema = f"`{id_col}` {kind.simpleString()}, n_bytes long, n_tokens long, over_limit boolean"
     return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, schema)
-
-
-def packed_ids(of_width: np.dtype):
-    """Turns ids into their little-endian bytes."""
-    return lambda ids: np.asarray(ids, dtype=of_width).tobytes()

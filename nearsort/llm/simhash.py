@@ -149,6 +149,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """One document of each component, the one of the least id, with all its columns; of rows that repeat that id, one."""
-    marked = near_duplicates(docs, id_col, text_col, radius).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(F.col(id_col).alias("__id")).distinct()
-    return docs.join(marked, F.col(id_col).eqNullSafe(F.col("__id")), "left_semi").dropDuplicates([id_col])
+    """One document of each component, the one of the least id, with all its columns; of rows that repeat that id, one. Rows without an id can't be told apart and all stay."""
+    ided = docs.where(F.col(id_col).isNotNull())
+    chosen = near_duplicates(ided, id_col, text_col, radius).where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__id"))
+    kept = ided.join(chosen, F.col(id_col) == F.col("__id"), "left_semi").dropDuplicates([id_col])
+    return kept.unionByName(docs.where(F.col(id_col).isNull()))

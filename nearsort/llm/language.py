@@ -21,7 +21,7 @@ ALPHA = 0.5
 #: Languages a model may have; the matrix then takes at most 256 MB.
 MAX_LANGS = 1024
 #: Characters scored at once.
-GROUP_CHARS = 1 << 18
+GROUP_CHARS = 1 << 17
 UNDETERMINED = "und"
 
 

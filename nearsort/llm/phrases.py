@@ -19,7 +19,7 @@ from . import recurrence as rec, textscan as ts
 
 #: Words of a phrase, of its anchor; windows that one automaton is compiled from.
 SPAN, GRAM = 20, 8
-SHARD_WINDOWS = 150_000
+SHARD_WINDOWS = 50_000
 
 
 def locate(rows: list[tuple], tokens: int, seen: set[str]) -> Iterator[tuple[int, list[int]]]:

@@ -19,7 +19,7 @@ from .induced import sort_suffixes
 
 #: Bytes of a repeated string, of its anchor; symbols sorted at once unless one anchor has more.
 SPAN, GRAM = 400, 288
-SHARD_SYMBOLS = 1 << 20
+SHARD_SYMBOLS = 1 << 19
 
 
 def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:

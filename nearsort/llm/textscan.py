@@ -15,7 +15,7 @@ import pyarrow as pa
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BASE_WORD = np.uint64(0xD1342543DE82EF95)
 #: UTF-8 bytes handled at once; a longer document is a group of its own.
-GROUP_BYTES = 2 << 20
+GROUP_BYTES = 1 << 19
 
 
 def mix(x: np.ndarray) -> np.ndarray:

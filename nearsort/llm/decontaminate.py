@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import textscan as ts
+from .lean import lean
 
 #: Words in a window, in a shingle; benchmark bytes that one broadcast block may hold.
 WINDOW = 13
@@ -104,7 +105,7 @@ def _rarity(docs: DataFrame, text_col: str, block: Block) -> dict[tuple[int, int
             at = np.flatnonzero(n)
             yield pa.RecordBatch.from_arrays([pa.array([k] * len(at), pa.int32()), pa.array(ts.signed(tables[k][at]), pa.int64()), pa.array(n[at], pa.int64())], names=["k", "h", "n"])
 
-    got = docs.select(F.col(text_col).alias("t")).mapInArrow(count, "k int, h long, n long").groupBy("k", "h").agg(F.sum("n").alias("n")).toArrow()
+    got = docs.select(F.col(text_col).alias("t")).mapInArrow(lean(count), "k int, h long, n long").groupBy("k", "h").agg(F.sum("n").alias("n")).toArrow()
     return {(k, h & (1 << 64) - 1): n for k, h, n in zip(*(got.column(c).to_pylist() for c in ("k", "h", "n")))}
 
 
@@ -178,4 +179,4 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
                 names=[id_col, *others, *own],
             )
 
-    return source.mapInArrow(run, kept + "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    return source.mapInArrow(lean(run), kept + "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")

@@ -14,6 +14,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
+from .lean import lean
+
 #: Character n-gram lengths, hash bins, additive smoothing.
 ORDERS = (1, 2, 3)
 BINS = 1 << 15
@@ -93,7 +95,7 @@ def fit(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", alpha:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * (len(at) + 1), pa.string()), pa.array(np.concatenate(([-1], at)), pa.int64()), pa.array(np.concatenate(([docs[k]], table[k][at])), pa.int64())], names=["lang", "bin", "n"])
 
     labelled = rows.where(F.col(text_col).isNotNull() & F.col(lang_col).isNotNull()).select(F.col(text_col).alias("t"), F.col(lang_col).cast("string").alias("l"))
-    counts = labelled.mapInArrow(count, "lang string, bin long, n long").groupBy("lang", "bin").agg(F.sum("n").alias("n"))
+    counts = labelled.mapInArrow(lean(count), "lang string, bin long, n long").groupBy("lang", "bin").agg(F.sum("n").alias("n"))
     got = counts.groupBy("lang").agg(F.collect_list(F.struct("bin", "n")).alias("bins")).limit(MAX_LANGS + 1).toArrow()
     if got.num_rows > MAX_LANGS:
         raise ValueError(f"more than {MAX_LANGS} languages")
@@ -143,7 +145,7 @@ def identify(docs: DataFrame, model: Bayes, text_col: str = "text", lang_out: st
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(langs, pa.string()), pa.array(values, pa.float64())], names=[*kept, lang_out, score_out])
 
     schema = "".join(f"`{c}` {docs.schema[c].dataType.simpleString()}, " for c in kept)
-    return docs.select(*kept, F.col(text_col).alias("__text")).mapInArrow(run, f"{schema}`{lang_out}` string, `{score_out}` double")
+    return docs.select(*kept, F.col(text_col).alias("__text")).mapInArrow(lean(run), f"{schema}`{lang_out}` string, `{score_out}` double")
 
 
 def held_out(id_col: str = "doc_id") -> Column:

@@ -16,6 +16,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from .lean import lean
+
 #: Characters encoded at once; a longer text is cut before a single space between two others.
 CHUNK_CHARS = 200_000
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
@@ -126,7 +128,7 @@ def pack(docs: DataFrame, path: str, pattern: str, row_tokens: int = 2048, eos_i
                     yield pa.RecordBatch.from_arrays([ids.take(pa.array(out[0], pa.int64())), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], names=["id", "start", "ids"])
                     out, size = ([], [], []), 0
 
-    segments = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(encode, f"id {kind.simpleString()}, start long, ids binary")
+    segments = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(lean(encode), f"id {kind.simpleString()}, start long, ids binary")
     shards = max(1, -(-docs.count() // SHARD_SEGMENTS))
     segments = segments.withColumn("shard", F.pmod(F.xxhash64("id", "start", F.length("ids")), F.lit(shards)))
 
@@ -160,4 +162,4 @@ def pack(docs: DataFrame, path: str, pattern: str, row_tokens: int = 2048, eos_i
 
     schema = f"shard long, row_no long, n_tokens long, token_ids binary, doc_ids array<{kind.simpleString()}>, segment_starts array<long>, cu_seqlens array<long>, position_resets array<long>"
     dealt = segments.repartition(max(min(shards, 20_000), 1), "shard").sortWithinPartitions("shard", F.length("ids").desc(), "id", "start")
-    return dealt.mapInArrow(fill, schema)
+    return dealt.mapInArrow(lean(fill), schema)

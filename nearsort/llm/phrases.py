@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import recurrence as rec, textscan as ts
+from .lean import lean
 
 #: Words of a phrase, of its anchor; windows that one automaton is compiled from.
 SPAN, GRAM = 20, 8
@@ -93,7 +94,7 @@ def removed(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[int, int, str]:
 def repeated_intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS) -> DataFrame:
     """(id, th, a, b): word intervals that windows met before cover; they may overlap."""
     members, groups, regions = rec.find(prepared, rec.Units("words", span, gram), together)
-    found = regions.mapInArrow(lambda x: _search(x, span, gram, shard), "id long, at long, a long, b long")
+    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, at long, a long, b long")
     return rec.whole_marks(members, groups, span, keep_first=True).unionByName(rec.part_marks(found))
 
 

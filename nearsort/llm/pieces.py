@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import tokens
+from .lean import lean
 
 MARK = "▁"
 #: Fixed values of the model format: piece types and model types.
@@ -294,7 +295,7 @@ def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
                 row = at.stop
 
     kept = "".join(f"`{c}` {docs.schema[c].dataType.simpleString()}, " for c in [id_col, *others])
-    return source.mapInArrow(run, kept + "n_tokens long, token_ids binary, ids_sha256 string, parity boolean, round_trip boolean")
+    return source.mapInArrow(lean(run), kept + "n_tokens long, token_ids binary, ids_sha256 string, parity boolean, round_trip boolean")
 
 
 def decode(rows: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "token_ids") -> DataFrame:
@@ -305,4 +306,4 @@ def decode(rows: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "t
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([coder.decode(x or b"") for x in b.column(1).to_pylist()], pa.string())], names=[id_col, "text"])
 
-    return rows.select(id_col, ids_col).mapInArrow(run, f"`{id_col}` {rows.schema[id_col].dataType.simpleString()}, text string")
+    return rows.select(id_col, ids_col).mapInArrow(lean(run), f"`{id_col}` {rows.schema[id_col].dataType.simpleString()}, text string")

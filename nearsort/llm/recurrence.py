@@ -22,6 +22,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from . import textscan as ts
 from .durable import cut
+from .lean import lean
 
 #: Bits of a filter; its broadcast takes an eighth as many bytes whatever the input.
 FILTER_BITS = 1 << 26
@@ -90,7 +91,7 @@ def build_filter(rows: DataFrame, keys: Callable[[pa.RecordBatch], np.ndarray])
             value = np.bitwise_or.reduceat(np.uint64(1) << (at & 63).astype(np.uint64), first) if len(at) else np.zeros(0, np.uint64)
             yield pa.RecordBatch.from_arrays([pa.array(word[first], pa.int64()), pa.array(ts.signed(value), pa.int64())], names=["w", "v"])
 
-    got = rows.mapInArrow(bits, "w long, v long").groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
+    got = rows.mapInArrow(lean(bits), "w long, v long").groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
     words = np.zeros(FILTER_BITS // 64, dtype=np.uint64)
     words[got.column("w").to_numpy()] = got.column("v").to_numpy().view(np.uint64)
     return Filter(words)
@@ -131,7 +132,7 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
             for _, _, _, _, h, *_ in _regions(b, units):
                 yield pa.RecordBatch.from_arrays([pa.array(ts.signed(h), pa.int64())], names=["h"])
 
-    twice = docs.mapInArrow(anchor_hashes, "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
+    twice = docs.mapInArrow(lean(anchor_hashes), "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
     recurring = sc.broadcast(build_filter(twice, lambda b: _long(b.column(0)).view(np.uint64)))
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -141,7 +142,7 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
                 rh = rolling.runs(lo[on], hi[on] + units.span)
                 yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ts.signed(h[on]), ts.signed(rh), ids[on], at[on], (hi - lo + 1)[on].astype(np.int32))], names=["h", "rh", "id", "at", "n"])
 
-    members = docs.mapInArrow(emit, "h long, rh long, id long, at long, n int")
+    members = docs.mapInArrow(lean(emit), "h long, rh long, id long, at long, n int")
     place = F.struct("id", "at")
     distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"))
     distinct = distinct.select("h", "rh", "first.id", "first.at", "n", (F.col("first") != F.col("last")).alias("many"))
@@ -173,7 +174,7 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
                     right.append(y)
                 yield pa.RecordBatch.from_arrays([pa.array(ts.signed(h[on])), pa.array(ts.signed(rh)), pa.array(ids[on]), pa.array(at[on]), pa.array(left, pa.binary()), pa.array(gram, pa.binary()), pa.array(right, pa.binary()), pa.array((hi - lo + 1)[on].astype(np.int32))], names=["h", "rh", "id", "at", "left", "gram", "right", "n"])
 
-    found = docs.mapInArrow(texts, schema).join(wanted, ["h", "rh", "id", "at"]).dropDuplicates(["h", "rh", "id", "at"])
+    found = docs.mapInArrow(lean(texts), schema).join(wanted, ["h", "rh", "id", "at"]).dropDuplicates(["h", "rh", "id", "at"])
     found = found.select("h", "id", "at", "left", "gram", "right", "n", "mixed")
 
     def key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -202,7 +203,7 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
             yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=names)
 
     types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int32()]
-    regions = found.mapInArrow(key, "key long, id long, at long, shift int, left binary, gram binary, right binary, n int")
+    regions = found.mapInArrow(lean(key), "key long, id long, at long, shift int, left binary, gram binary, right binary, n int")
     return members, groups, regions.repartition("key").sortWithinPartitions("key", "id", "at", "shift")
 
 
@@ -240,8 +241,8 @@ def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fi
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x) for x in zip(*rows))] if rows else [b.column(0)], names=[id_col, *names]) if rows else b.slice(0, 0)
 
     names = [x.split()[0] for x in fields.split(", ")]
-    pressed = docs.mapInArrow(pack, f"original {kind}, id long, th long, z binary")
-    return pressed.join(each, ["id", "th"], "left").select("original", "z", "marks").mapInArrow(run, f"`{id_col}` {kind}, {fields}")
+    pressed = docs.mapInArrow(lean(pack), f"original {kind}, id long, th long, z binary")
+    return pressed.join(each, ["id", "th"], "left").select("original", "z", "marks").mapInArrow(lean(run), f"`{id_col}` {kind}, {fields}")
 
 
 def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool) -> DataFrame:

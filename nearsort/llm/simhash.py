@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, functions as F
 from . import textscan as ts
 from .components import components
 from .durable import cut
+from .lean import lean
 
 BITS, RADIUS = 64, 3
 #: Members up to which a bucket is compared in one task, block by block; larger ones are linked through shared neighbours.
@@ -69,7 +70,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fp = np.fromiter(_fingerprints(b.column(1)), dtype=np.uint64, count=b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ts.signed(fp), pa.int64())], names=[id_col, "fp"])
 
-    return docs.select(id_col, F.col(text_col).alias("t")).mapInArrow(run, f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, fp long")
+    return docs.select(id_col, F.col(text_col).alias("t")).mapInArrow(lean(run), f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, fp long")
 
 
 def _forest(fp: np.ndarray, radius: int) -> list[tuple[int, int]]:
@@ -112,7 +113,7 @@ def links(distinct: DataFrame, radius: int = RADIUS, bucket: int = BUCKET) -> Da
                 if len(got):
                     yield pa.RecordBatch.from_arrays([pa.array(ts.signed(fp[got[:, 0]])), pa.array(ts.signed(fp[got[:, 1]]))], names=["a", "b"])
 
-    found = small.select("fps").mapInArrow(compare, "a long, b long")
+    found = small.select("fps").mapInArrow(lean(compare), "a long, b long")
     large = sizes.where(F.col("n") > bucket).select("t", "key")
     if large.isEmpty():
         return found

@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from . import recurrence as rec, textscan as ts
 from .induced import sort_suffixes
+from .lean import lean
 
 #: Bytes of a repeated string, of its anchor; symbols sorted at once unless one anchor has more.
 SPAN, GRAM = 400, 288
@@ -72,7 +73,7 @@ def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int)
 def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS) -> DataFrame:
     """(id, th, a, b): byte intervals covered by strings that start anywhere else too; they may overlap."""
     members, groups, regions = rec.find(prepared, rec.Units("bytes", span, gram), together)
-    found = regions.mapInArrow(lambda x: _search(x, span, gram, shard), "id long, at long, a long, b long")
+    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, at long, a long, b long")
     return rec.whole_marks(members, groups, span, keep_first=False).unionByName(rec.part_marks(found))
 
 

@@ -13,6 +13,8 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from .lean import lean
+
 #: A single space between two characters that are no white space always begins a new pre-token.
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 _UNSAFE = re.compile(r"[ \n]\s|\s[ \n]")
@@ -159,4 +161,4 @@ def token_counts(docs: DataFrame, path: str, limit: int = 1024, id_col: str = "d
             )
 
     schema = f"`{id_col}` {kind.simpleString()}, n_bytes long, n_tokens long, over_limit boolean"
-    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, schema)
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(lean(run), schema)

@@ -8,8 +8,11 @@ from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 
+from . import textscan
+
 
 def release() -> None:
+    textscan.forget()
     gc.collect()
     pa.default_memory_pool().release_unused()
     try:

@@ -29,7 +29,7 @@ MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: Distinct words remembered by one worker, in each of two generations.
-MEMO_PIECES = 300_000
+MEMO_PIECES = 200_000
 
 
 def _fields(raw: bytes) -> Iterator[tuple[int, object]]:
@@ -280,7 +280,7 @@ def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
         for b in batches:
             row = 0
             column = b.column(b.schema.get_field_index("__text"))
-            for some in tokens.by_bytes([x or "" for x in column.to_pylist()]):
+            for some in tokens.slices(column):
                 out = list(coder.batch(some))
                 ids = [x[0] for x in out]
                 at = slice(row, row + len(some))

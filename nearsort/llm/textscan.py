@@ -30,12 +30,12 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 _TABLE = mix((np.arange(256, dtype=np.uint64) + np.uint64(1)) * _BASE)
-_powers: dict[tuple[int, int], np.ndarray] = {}
+_powers: dict[int, np.ndarray] = {}
 
 
 def _power(base: np.uint64, n: int) -> np.ndarray:
     """base ** 0 .. base ** (n - 1) modulo 2**64; kept in the worker, rounded up to a power of two."""
-    key = (int(base), 0)
+    key = int(base)
     have = _powers.get(key)
     if have is None or len(have) < n:
         size = 1 << max(16, int(n - 1).bit_length())
@@ -46,6 +46,11 @@ def _power(base: np.uint64, n: int) -> np.ndarray:
     return have[:n]
 
 
+def forget() -> None:
+    """Let go of the power tables; the next task builds its own."""
+    _powers.clear()
+
+
 def _inverse(base: np.uint64) -> np.uint64:
     return np.uint64(pow(int(base), -1, 1 << 64))
 

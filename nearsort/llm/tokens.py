@@ -10,10 +10,12 @@ import os
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .lean import lean
+from .textscan import text_buffers
 
 #: A single space between two characters that are no white space always begins a new pre-token.
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
@@ -141,6 +143,16 @@ def by_bytes(texts: list[str], limit: int = BATCH_CHARS) -> Iterator[list[str]]:
         yield some
 
 
+def slices(column: pa.Array, limit: int = BATCH_CHARS) -> Iterator[list[str]]:
+    """The texts of a column (null: empty), about ``limit`` bytes at a time, so that only these are Python objects."""
+    _, offsets = text_buffers(column)
+    row, n = 0, len(offsets) - 1
+    while row < n:
+        to = min(n, max(row + 1, int(np.searchsorted(offsets, offsets[row] + limit, side="right")) - 1))
+        yield [x or "" for x in column.slice(row, to - row).to_pylist()]
+        row = to
+
+
 def token_counts(docs: DataFrame, path: str, limit: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """n_bytes, n_tokens and over_limit of every text.
 
@@ -153,9 +165,11 @@ def token_counts(docs: DataFrame, path: str, limit: int = 1024, id_col: str = "d
         encoder = Encoder(path, len)
         for b in batches:
             column = b.column("t")
-            texts = [x or "" for x in column.to_pylist()]
-            n_tokens = [sum(x) for some in by_bytes(texts) for x in encoder.batch(some)]
-            n_bytes = [len(t.encode()) for t in texts]
+            n_tokens: list[int] = []
+            n_bytes: list[int] = []
+            for some in slices(column):
+                n_tokens += [sum(x) for x in encoder.batch(some)]
+                n_bytes += [len(t.encode()) for t in some]
             yield pa.RecordBatch.from_arrays(
                 [b.column("i"), pa.array(n_bytes, pa.int64()), pa.array(n_tokens, pa.int64()), pa.array([n > limit for n in n_tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"]
             )

@@ -30,6 +30,8 @@ NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: Distinct words remembered by one worker, in each of two generations.
 MEMO_PIECES = 300_000
+#: Words encoded at once; the library's result objects take some kilobytes a word.
+ENCODE_WORDS = 4096
 
 
 def _fields(raw: bytes) -> Iterator[tuple[int, object]]:
@@ -189,10 +191,12 @@ class Coder:
         return [(self.pack(b), True) for b in theirs]
 
     def _keep(self, memo: dict[str, bytes], words: list[str], skip: int = 0, lead: str = "") -> None:
-        for w, (ids, same) in zip(words, self._encode([lead + w for w in words])):
-            memo[w] = ids[skip:]
-            if not same:
-                self.unlike.add(w)
+        for at in range(0, len(words), ENCODE_WORDS):
+            some = words[at : at + ENCODE_WORDS]
+            for w, (ids, same) in zip(some, self._encode([lead + w for w in some])):
+                memo[w] = ids[skip:]
+                if not same:
+                    self.unlike.add(w)
 
     def batch(self, texts: list[str]) -> Iterator[tuple[bytes, bool]]:
         """(ids as little-endian bytes, whether both libraries agreed) per text."""

@@ -23,9 +23,8 @@ def bound_batches(spark: SparkSession) -> None:
         spark.conf.set(_LIMIT, BATCH_BYTES)
 
 
-def release() -> None:
-    textscan.forget()
-    gc.collect()
+def trim() -> None:
+    """Give freed memory back to the system."""
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
@@ -33,6 +32,12 @@ def release() -> None:
         pass
 
 
+def release() -> None:
+    textscan.forget()
+    gc.collect()
+    trim()
+
+
 def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """``run`` for mapInArrow, taking bounded batches and returning its memory to the system at the end. Called on the driver."""
     bound_batches(SparkSession.active())

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import tokens
-from .lean import lean
+from .lean import lean, trim
 
 MARK = "▁"
 #: Fixed values of the model format: piece types and model types.
@@ -30,6 +30,10 @@ NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: Distinct words remembered by one worker, in each of two generations.
 MEMO_PIECES = 300_000
+#: Threads of the library in one worker; the machine's cores are shared by many workers, and each thread keeps memory of its own.
+THREADS = 2
+#: Bytes of text that are Python objects at once.
+SLICE_BYTES = 1 << 18
 #: Words encoded at once; the library's result objects take some kilobytes a word.
 ENCODE_WORDS = 4096
 
@@ -150,10 +154,13 @@ def splittable(m: Model) -> bool:
 class Coder:
     """Encodes and decodes texts; remembers the pieces of words in two generations of bounded size."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, memo_pieces: int = MEMO_PIECES):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "true")
+        os.environ.setdefault("RAYON_NUM_THREADS", str(THREADS))
         import sentencepiece
 
+        self.memo_pieces = memo_pieces
+
         with open(path, "rb") as f:
             self.model = parse(f.read())
         self.pipeline = rebuild(self.model)
@@ -203,9 +210,9 @@ class Coder:
         if not self.split:
             yield from self._encode(texts)
             return
-        if len(self.memo) > MEMO_PIECES:
+        if len(self.memo) > self.memo_pieces:
             self.older, self.memo = self.memo, {}
-        if len(self.bare) > MEMO_PIECES:
+        if len(self.bare) > self.memo_pieces:
             self.bare = {}
         lines = [self._parts(t) for t in texts]
         new: set[str] = set()
@@ -269,22 +276,24 @@ class Coder:
         return text[1:] if self.model.dummy_prefix and text[:1] == " " else text
 
 
-def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", keep: bool = False) -> DataFrame:
+def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", keep: bool = False, memo_pieces: int = MEMO_PIECES) -> DataFrame:
     """n_tokens, token_ids (little-endian uint16, uint32 for larger vocabularies), ids_sha256, parity (both libraries gave the same ids) and round_trip (decoding gives the text back).
 
     A null text encodes like the empty text, to no tokens. Repeated rows each give a row, null ids
     stay; further columns are dropped unless ``keep``. An empty table gives an empty result.
+    ``memo_pieces`` trades a worker's memory for time; results don't depend on it.
     """
     own = ["n_tokens", "token_ids", "ids_sha256", "parity", "round_trip"]
     others = [c for c in docs.columns if keep and c not in {id_col, *own}]
     source = docs.select(id_col, *others, F.col(text_col).alias("__text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = Coder(path)
+        coder = Coder(path, memo_pieces)
         for b in batches:
+            trim()
             row = 0
             column = b.column(b.schema.get_field_index("__text"))
-            for some in tokens.slices(column):
+            for some in tokens.slices(column, SLICE_BYTES):
                 out = list(coder.batch(some))
                 ids = [x[0] for x in out]
                 at = slice(row, row + len(some))

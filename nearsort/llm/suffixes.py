@@ -8,7 +8,7 @@ window that agrees with a neighbour in suffix order over its whole length.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -20,11 +20,13 @@ from .lean import lean
 
 #: Bytes of a repeated string, of its anchor; symbols sorted at once unless one anchor has more.
 SPAN, GRAM = 400, 288
+#: Words of a repeated passage ("over 50"), of its anchor.
+PASSAGE, PASSAGE_GRAM = 51, 36
 SHARD_SYMBOLS = 1 << 19
 
 
-def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:
-    """Per region, the starts of windows (in symbols) that occur at another place of the shard too."""
+def _laid_out(rows: list[tuple[bytes, bytes, bytes]]) -> tuple[np.ndarray, np.ndarray]:
+    """The regions end to end as one array of symbols, and where each begins (and the last ends)."""
     names = {g: 257 + k for k, g in enumerate(dict.fromkeys(g for _, g, _ in rows))}
     size = [len(x) + len(y) + 2 for x, _, y in rows]
     text = np.zeros(sum(size), dtype=np.int64)  # 0 ends a region
@@ -35,6 +37,12 @@ def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> lis
         text[a + len(x) + 1 : a + len(x) + 1 + len(y)] = np.frombuffer(y, np.uint8)
     text += 1
     text[bounds[1:] - 1] = 0
+    return text, bounds
+
+
+def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:
+    """Per region, the starts of windows (in symbols) that occur at another place of the shard too."""
+    text, bounds = _laid_out(rows)
     order, lcp = sort_suffixes(text, window)
     same = np.zeros(len(text), bool)
     at = np.flatnonzero(lcp >= window)
@@ -43,13 +51,32 @@ def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> lis
     return [np.flatnonzero(same[a : max(a, b - window)]) for a, b in zip(bounds.tolist(), bounds[1:].tolist())]
 
 
-def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int) -> Iterator[pa.RecordBatch]:
+def repeated_passages(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:
+    """The same for windows of ``window`` words, the anchor being one of them: suffixes stay those of bytes, and a window's length in bytes is its own."""
+    rows = [(b" " + x + b" " if x else b" ", g, y + b" " if y else b"") for x, g, y in rows]  # a window starts with a blank, so never inside a word
+    text, bounds = _laid_out(rows)
+    starts, lengths = [], []
+    for x, _, y in rows:
+        start = np.flatnonzero(np.frombuffer(x, np.uint8) == 32)
+        end = len(x) + 1 + np.concatenate(([0], np.flatnonzero(np.frombuffer(y, np.uint8) == 32) + 1))
+        after = window - len(start)  # words behind the anchor in the region's first window
+        n = len(end) - after
+        starts.append(start[:n])
+        lengths.append(end[after : after + n] - start[:n])
+    order, lcp = sort_suffixes(text, int(max(x.max() for x in lengths)))
+    shared = np.zeros(len(text), np.int64)
+    shared[order] = lcp
+    shared[order[:-1]] = np.maximum(shared[order[:-1]], lcp[1:])
+    return [np.flatnonzero(shared[a + x] >= n) for a, x, n in zip(bounds.tolist(), starts, lengths)]
+
+
+def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int, repeated: Callable = repeated_windows) -> Iterator[pa.RecordBatch]:
     window = span - gram + 1
     rows, spots, symbols, key = [], [], 0, None
 
     def flush() -> pa.RecordBatch:
         out = ([], [], [], [])
-        for (i, at, shift), starts in zip(spots, repeated_windows(rows, window)):
+        for (i, at, shift), starts in zip(spots, repeated(rows, window)):
             a, b = rec.merged(starts + shift, span)
             out[0].extend([i] * len(a))
             out[1].extend([at] * len(a))
@@ -70,10 +97,11 @@ def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int)
         yield flush()
 
 
-def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS) -> DataFrame:
-    """(id, th, a, b): byte intervals covered by strings that start anywhere else too; they may overlap."""
-    members, groups, regions = rec.find(prepared, rec.Units("bytes", span, gram), together)
-    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, at long, a long, b long")
+def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, kind: str = "bytes") -> DataFrame:
+    """(id, th, a, b): intervals of bytes (or words) covered by runs of ``span`` that start anywhere else too; they may overlap."""
+    members, groups, regions = rec.find(prepared, rec.Units(kind, span, gram), together)
+    repeated = repeated_passages if kind == "words" else repeated_windows
+    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard, repeated)), "id long, at long, a long, b long")
     return rec.whole_marks(members, groups, span, keep_first=False).unionByName(rec.part_marks(found))
 
 
@@ -102,11 +130,32 @@ def remove_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     return rec.apply(rec.named(docs, id_col, text_col), marks, id_col, removed, "n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
-def cut_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM) -> DataFrame:
-    """``docs`` with repeated substrings cut out of the text; other columns stay. Of a character cut in two nothing is left. A null text stays null."""
-    marks = intervals(rec.prepare(docs, id_col, text_col), span, gram)
+def _without_words(text: bytes, a: np.ndarray, b: np.ndarray) -> bytes:
+    """The text without the words of the intervals and the blanks that follow each."""
+    if not len(a):
+        return text
+    data = np.frombuffer(text, np.uint8)
+    start, _, _ = ts.words(data, np.asarray([0, len(data)]), ~ts.SPACE)
+    gone, edge = ts.cover(len(start), a, b), np.append(start, len(text))
+    return data[~ts.cover(len(text), edge[:-1][gone], edge[1:][gone])].tobytes()
+
+
+def _cut(docs: DataFrame, id_col: str, text_col: str, marks: DataFrame, kept: Callable[[bytes, np.ndarray, np.ndarray], bytes]) -> DataFrame:
     others = [c for c in docs.columns if c != text_col]
     whole = F.struct(*(F.col(c).alias(f"c{k}") for k, c in enumerate(others)), F.col(text_col).isNull().alias("blank"))
-    out = rec.apply(rec.named(docs, id_col, text_col, whole), marks, "original", lambda t, a, b: (_kept(t, a, b)[0].decode("utf-8", "ignore"),), "kept string")
+    out = rec.apply(rec.named(docs, id_col, text_col, whole), marks, "original", lambda t, a, b: (kept(t, a, b).decode("utf-8", "ignore"),), "kept string")
     values = {c: F.col("original")[f"c{k}"] for k, c in enumerate(others)} | {text_col: F.when(~F.col("original.blank"), F.col("kept"))}
     return out.select(*(values[c].alias(c) for c in docs.columns))
+
+
+def cut_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM) -> DataFrame:
+    """``docs`` with repeated substrings cut out of the text; other columns stay. Of a character cut in two nothing is left. A null text stays null."""
+    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram), lambda t, a, b: _kept(t, a, b)[0])
+
+
+def cut_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = PASSAGE, gram: int = PASSAGE_GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS) -> DataFrame:
+    """``docs`` with passages of ``span`` words or more that start anywhere else too cut out of the text, at all their places.
+
+    Words are what blanks separate; blanks themselves are not compared. Other columns stay. A null text stays null.
+    """
+    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram, together, shard, "words"), _without_words)

@@ -6,9 +6,10 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline as cp
-from nearsort.llm import suffixes
+from nearsort.llm import shingles, suffixes
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -64,3 +65,53 @@ def test_a_passage_does_not_start_inside_a_word(spark):
     p = " ".join(prose(1, 50))
     rows = [(k, f"{' '.join(prose(20 + k, 40))} {w} {p} {' '.join(prose(30 + k, 40))}", "en") for k, w in enumerate(("bathe", "the"))]
     assert {r.doc_id: r.text for r in suffixes.cut_passages(table(spark, rows)).collect()} == {i: t for i, t, _ in rows}
+
+
+
+# near-duplicates
+
+
+def plain_clusters(rows):
+    sets = {}
+    for i, t in rows:
+        w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets[i] = {tuple(w[k : k + 5]) for k in range(len(w) - 4)} or ({tuple(w)} if w else set())
+    root = {i: i for i in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in sorted(sets):
+        for b in sorted(sets):
+            both = len(sets[a] & sets[b])
+            if a < b and 5 * both >= 4 * (len(sets[a]) + len(sets[b]) - both):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {i for i in sets if find(i) == i}
+
+
+def test_near_duplicates_are_those_of_similar_shingles(spark, docs, odd, data):
+    for df in (docs, odd.where("doc_id is not null").dropDuplicates(["doc_id"]).withColumns({"source": F.lit("s"), "n_chars": F.lit(0).cast("long")})):
+        got = {r.doc_id for r in cp.drop_near_duplicates(spark, df, data).collect()}
+        assert got == plain_clusters([(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()])
+
+
+def test_near_copies_beyond_three_bits_meet(spark, data):
+    rows = []
+    for k in range(40):
+        a, b, c = (prose(s + k, 200) for s in (1000, 2000, 3000))
+        near, far = a.copy(), a.copy()
+        for x in range(3):
+            near[20 + 50 * x] = c[x]  # 15 of 196 shingles change: 0.86
+        for x in range(8):
+            far[5 + 24 * x] = c[x]  # 40 change: 0.66
+        rows += [(4 * k, " ".join(a), "en"), (4 * k + 1, " ".join(near).upper(), "en"), (4 * k + 2, "\n".join(far), "en"), (4 * k + 3, " ".join(b), "en")]
+    got = {r.doc_id for r in cp.drop_near_duplicates(spark, table(spark, rows), data).collect()}
+    assert got == {i for i in range(160) if i % 4 != 1}
+
+
+def test_texts_of_one_id_are_told_apart(spark):
+    rows = [(1, " ".join(prose(1, 30)), "en"), (1, " ".join(prose(2, 30)), "en"), (1, " ".join(prose(1, 30)), "en"), (None, "x y", "en"), (None, "x y", "en")]
+    assert sorted(r.doc_id or 0 for r in shingles.keep_one(table(spark, rows)).collect()) == [0, 0, 1, 1]

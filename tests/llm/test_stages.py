@@ -2,6 +2,7 @@
 
 import random
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -115,3 +116,30 @@ def test_near_copies_beyond_three_bits_meet(spark, data):
 def test_texts_of_one_id_are_told_apart(spark):
     rows = [(1, " ".join(prose(1, 30)), "en"), (1, " ".join(prose(2, 30)), "en"), (1, " ".join(prose(1, 30)), "en"), (None, "x y", "en"), (None, "x y", "en")]
     assert sorted(r.doc_id or 0 for r in shingles.keep_one(table(spark, rows)).collect()) == [0, 0, 1, 1]
+
+
+# language
+
+
+def planted_languages():
+    """(id, text, lang): each language has the words they share and the same words in letters of its own."""
+    ids = [i for i in range(400) if zlib.crc32(str(i).encode()) % 4 != 2]
+    shared = " ".join(prose(5, 60, "mnop"))
+    letters = {"en": "abcd", "de": "efgh", "fr": "qrst", "xx": "uvwx"}
+    rows = [(i, shared + " " + " ".join(prose(7, 60, "abcd")).translate(str.maketrans("abcd", letters[lang])), lang) for i, lang in zip(ids, [*letters] * 10)]
+    own = {lang: " ".join(prose(8, 40, "abcd")).translate(str.maketrans("abcd", x)) for lang, x in letters.items()}
+    return rows, own, shared
+
+
+def test_language_is_decided_by_the_prediction(spark, data):
+    rows, own, shared = planted_languages()
+    cases = [(1000, own["en"], None), (1001, own["de"], "xx"), (1002, own["xx"], "en"), (1003, own["xx"], None), (1004, shared.split()[0], None), (1005, "12 34", "en"), (1006, None, "en")]
+    cases = [(1000 + 8 * k + next(n for n in range(8) if zlib.crc32(str(1000 + 8 * k + n).encode()) % 4 == 2), t, lang) for k, (_, t, lang) in enumerate(cases)]
+    got = {r.doc_id for r in cp.identify_language(spark, table(spark, rows + cases), data).collect()}
+    assert got == {i for i, _, lang in rows if lang != "xx"} | {cases[0][0], cases[1][0]}
+
+
+def test_nothing_to_learn_from_drops_no_language(spark, data):
+    rows, _, _ = planted_languages()
+    blank = [(i, t, None) for i, t, _ in rows] + [(2000, "12 34", None), (2001, None, None)]
+    assert {r.doc_id for r in cp.identify_language(spark, table(spark, blank), data).collect()} == {i for i, _, _ in rows}

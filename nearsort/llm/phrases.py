@@ -54,20 +54,19 @@ def locate(rows: list[tuple], tokens: int, seen: set[str]) -> Iterator[tuple[int
 def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int) -> Iterator[pa.RecordBatch]:
     tokens = span - gram + 1
     rows, spots, windows, key, seen = [], [], 0, None, set()
+    names = [*rec.PLACE, "a", "b"]
 
     def flush() -> pa.RecordBatch:
-        out = ([], [], [], [])
+        out: list[list[int]] = [[] for _ in names]
         for row, starts in locate(rows, tokens, seen):
-            i, at, shift = spots[row]
-            a, b = rec.merged(np.asarray(sorted(starts)) + shift, span)
-            out[0].extend([i] * len(a))
-            out[1].extend([at] * len(a))
-            out[2].extend(a)
-            out[3].extend(b)
-        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=["id", "at", "a", "b"])
+            *place, shift = spots[row]
+            for interval in zip(*rec.merged(np.asarray(sorted(starts)) + shift, span)):
+                for o, v in zip(out, (*place, *interval)):
+                    o.append(v)
+        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=names)
 
     for b in batches:
-        for k, i, at, shift, left, g, right, n in zip(*(c.to_pylist() for c in b.columns)):
+        for k, i, th, at, shift, left, g, right, n in zip(*(c.to_pylist() for c in b.columns)):
             if k != key and windows >= shard:
                 yield flush()
                 rows, spots, windows = [], [], 0
@@ -77,7 +76,7 @@ def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int)
                 rows, spots, windows = [], [], 0
             key = k
             rows.append((left, g, right))
-            spots.append((i, at, shift))
+            spots.append((i, th, at, shift))
             windows += n
     if rows:
         yield flush()
@@ -91,14 +90,14 @@ def removed(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[int, int, str]:
     return len(start), int(len(start) - keep.sum()), hashlib.sha256(kept).hexdigest()
 
 
-def repeated_intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS) -> DataFrame:
+def repeated_intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS, piece: int = rec.PIECE_BYTES) -> DataFrame:
     """(id, th, a, b): word intervals that windows met before cover; they may overlap."""
-    members, groups, regions = rec.find(prepared, rec.Units("words", span, gram), together)
-    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, at long, a long, b long")
+    members, groups, regions = rec.find(prepared, rec.Units("words", span, gram, piece=piece), together)
+    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, th long, at long, a long, b long")
     return rec.whole_marks(members, groups, span, keep_first=True).unionByName(rec.part_marks(found))
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS) -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS, piece: int = rec.PIECE_BYTES) -> DataFrame:
     """n_words, n_removed and kept_sha256 of every document.
 
     A word goes if a window of ``span`` words over it also starts earlier: in a document of a smaller
@@ -108,6 +107,6 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     empty result; further columns are ignored.
     """
     prepared = rec.prepare(docs, id_col, text_col)
-    marks = repeated_intervals(prepared, span, gram, together, shard)
+    marks = repeated_intervals(prepared, span, gram, together, shard, piece)
     return rec.apply(rec.named(docs, id_col, text_col), marks, id_col, removed, "n_words long, n_removed long, kept_sha256 string")
 

@@ -28,31 +28,63 @@ from .lean import lean
 FILTER_BITS = 1 << 26
 #: Different regions of one anchor up to which they are searched together; beyond it, window by window.
 TOGETHER = 4096
+#: Bytes of a document scanned at once.
+PIECE_BYTES = ts.GROUP_BYTES
 _NULL_ID = -(1 << 63)
 
 
 @dataclass(frozen=True)
 class Units:
-    """What a window counts: ``span`` words or bytes, with anchors of ``gram`` of them."""
+    """What a window counts: ``span`` words or bytes, with anchors of ``gram`` of them.
+
+    ``reach`` (at least ``span``): units from a window's start that are kept with it, so that agreement beyond the window can be seen too.
+    """
 
     kind: str
     span: int
     gram: int
+    reach: int = 0
+    piece: int = PIECE_BYTES
+
+    @property
+    def kept(self) -> int:
+        return max(self.span, self.reach)
 
     def scan(self, column: pa.Array) -> Iterator[tuple]:
-        """(first row, bytes, symbol starts, symbol ends, first symbol of each document, hashes)."""
-        for row, data, offsets in ts.groups(column):
+        """(first row, bytes, symbol starts, symbol ends, first symbol of each document, hashes, symbols before, windows that count).
+
+        A long document comes in pieces, each with the symbols that its last windows need; the first symbol's number in the document is
+        ``before``. Pieces share no window, so memory stays bounded whatever a document's length.
+        """
+        for row, data, offsets in ts.groups(column, self.piece):
+            long = len(data) > self.piece
             if self.kind == "words":
                 start, end, first = ts.words(data, offsets, ~ts.SPACE)
-                yield row, data, start, end, first, ts.word_rolling(ts.word_hash(data, start, end))
+                if not long:
+                    yield row, data, start, end, first, ts.word_rolling(ts.word_hash(data, start, end)), 0, None
+                    continue
+                for at, to in _parts(len(start), self.span, self.piece // 8):
+                    last = min(len(start), to - 1 + self.kept)
+                    s, e = start[at:last], end[at:last]
+                    yield row, data[s[0] : e[-1]], s - s[0], e - s[0], np.asarray([0, last - at]), ts.word_rolling(ts.word_hash(data[s[0] : e[-1]], s - s[0], e - s[0])), at, to - at
+            elif not long:
+                yield row, data, None, None, offsets, ts.byte_hash(data), 0, None
             else:
-                yield row, data, None, None, offsets, ts.byte_hash(data)
+                for at, to in _parts(len(data), self.span, self.piece):
+                    part = data[at : to - 1 + self.kept]
+                    yield row, part, None, None, np.asarray([0, len(part)]), ts.byte_hash(part), at, to - at
+
+
+def _parts(n: int, span: int, size: int) -> Iterator[tuple[int, int]]:
+    """Window starts of a sequence of n symbols, in runs of ``size``."""
+    for at in range(0, n - span + 1, size):
+        yield at, min(at + size, n - span + 1)
 
 
 def named(docs: DataFrame, id_col: str, text_col: str, original: Column | None = None) -> DataFrame:
-    """(original: the id column or what is to be kept, id, th, text): a null id is the least, a null text empty; th tells texts of one id apart."""
+    """(original: the id column or what is to be kept, id, th, text): a null id is the least, a null text empty; th, 64 bits of the text's hash, tells texts of one id apart."""
     text = F.coalesce(F.col(text_col), F.lit(""))
-    return docs.select((F.col(id_col) if original is None else original).alias("original"), F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.xxhash64(text).bitwiseAND(F.lit((1 << 31) - 1)).alias("th"), text.alias("text"))
+    return docs.select((F.col(id_col) if original is None else original).alias("original"), F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
 
 
 def prepare(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -101,27 +133,34 @@ def _long(column: pa.Array) -> np.ndarray:
     return column.to_numpy(zero_copy_only=False)
 
 
-def _place_key(ids: np.ndarray, at: np.ndarray) -> np.ndarray:
-    return ts.mix(ids.view(np.uint64)) ^ at.view(np.uint64)
+def _place_key(ids: np.ndarray, th: np.ndarray, at: np.ndarray) -> np.ndarray:
+    return ts.mix(ids.view(np.uint64)) ^ ts.mix(th.view(np.uint64) + at.astype(np.uint64))
 
 
 def _regions(b: pa.RecordBatch, units: Units):
-    """Per group of documents of a batch (columns id, th, text): bytes, symbol bounds and the regions' arrays."""
+    """Per group of documents of a batch (columns id, th, text): bytes, symbol bounds and the regions' arrays.
+
+    Of a region: anchor hash and place, first and last window, end of what is kept, then id, text hash and first window in its document.
+    """
     ids, th = _long(b.column(0)), _long(b.column(1))
-    for row, data, start, end, first, rolling in units.scan(b.column(2)):
-        h, place, lo, hi, doc = ts.anchors(rolling, first, units.span, units.gram)
+    for row, data, start, end, first, rolling, before, limit in units.scan(b.column(2)):
+        h, place, lo, hi, doc = ts.anchors(rolling, first, units.span, units.gram, limit)
         if len(h):
-            at = (th[row + doc] << 32) | (lo - first[doc])
-            yield data, start, end, rolling, h, place, lo, hi, ids[row + doc], at
+            stop = np.minimum(hi + units.kept, first[doc + 1])
+            yield data, start, end, rolling, h, place, lo, hi, stop, ids[row + doc], th[row + doc], lo - first[doc] + before
+
+
+#: Fields of a region's place.
+PLACE = ["id", "th", "at"]
 
 
 def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Three tables over ``docs`` (as prepare() gives them).
+    """Three tables over ``docs`` (as prepare() gives them). A region is at the place (id, th, at), at being its first window.
 
-    members: (h, rh, id, at, n) all regions with an anchor that may recur; at = th << 32 | first window.
-    groups: (h, rh, id, at, n, many, mixed) their distinct contents with the first place of each; many: the content is at two
-    places or more; mixed: the anchor has other contents too, as many as ``mixed`` says in all.
-    regions: (key, id, at, shift, left, gram, right, n) the text of mixed groups' first places, the anchor gram being
+    members: (h, rh, id, th, at, n, m) all regions with an anchor that may recur: n windows, m units of content.
+    groups: (h, rh, id, th, at, n, m, many, mixed) their distinct contents with the first place of each; many: the content is at
+    two places or more; mixed: the anchor has other contents too, as many as ``mixed`` says in all.
+    regions: (key, id, th, at, shift, left, gram, right, n) the text of mixed groups' first places, the anchor gram being
     replaced by a digest; keyed so that equal windows meet in one key; cut to single windows where an anchor has more
     than ``together`` contents. shift: windows before this row's first, counted from the region's first.
     """
@@ -137,32 +176,33 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for _, _, _, rolling, h, _, lo, hi, ids, at in _regions(b, units):
+            for _, _, _, rolling, h, _, lo, hi, stop, ids, th, at in _regions(b, units):
                 on = recurring.value.test(h)
-                rh = rolling.runs(lo[on], hi[on] + units.span)
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ts.signed(h[on]), ts.signed(rh), ids[on], at[on], (hi - lo + 1)[on].astype(np.int32))], names=["h", "rh", "id", "at", "n"])
-
-    members = docs.mapInArrow(lean(emit), "h long, rh long, id long, at long, n int")
-    place = F.struct("id", "at")
-    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"))
-    distinct = distinct.select("h", "rh", "first.id", "first.at", "n", (F.col("first") != F.col("last")).alias("many"))
+                rh = rolling.runs(lo[on], stop[on])
+                wide = [ts.signed(h[on]), ts.signed(rh), ids[on], th[on]]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, wide), *(pa.array(x[on].astype(np.int32)) for x in (at, hi - lo + 1, stop - lo))], names=["h", "rh", *PLACE, "n", "m"])
+
+    members = docs.mapInArrow(lean(emit), "h long, rh long, id long, th long, at int, n int, m int")
+    place = F.struct(*PLACE)
+    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"), F.first("m").alias("m"))
+    distinct = distinct.select("h", "rh", "first.*", "n", "m", (F.col("first") != F.col("last")).alias("many"))
     mixed = distinct.groupBy("h").agg(F.count("*").alias("mixed")).where("mixed > 1")
     groups = cut(distinct.join(mixed, "h", "left").where("many or mixed is not null"))
 
-    wanted = groups.where("mixed is not null").select("h", "rh", "id", "at", "mixed")
-    spots = sc.broadcast(build_filter(wanted.select("id", "at"), lambda b: _place_key(_long(b.column(0)), _long(b.column(1)))))
-    schema = "h long, rh long, id long, at long, left binary, gram binary, right binary, n int"
+    wanted = groups.where("mixed is not null").select("h", "rh", *PLACE, "mixed")
+    spots = sc.broadcast(build_filter(wanted.select(*PLACE), lambda b: _place_key(*map(_long, b.columns))))
+    schema = "h long, rh long, id long, th long, at int, left binary, gram binary, right binary, n int"
 
     def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for data, start, end, rolling, h, place, lo, hi, ids, at in _regions(b, units):
-                on = np.flatnonzero(recurring.value.test(h) & spots.value.test(_place_key(ids, at)))
+            for data, start, end, rolling, h, place, lo, hi, stop, ids, th, at in _regions(b, units):
+                on = np.flatnonzero(recurring.value.test(h) & spots.value.test(_place_key(ids, th, at)))
                 if not len(on):
                     continue
                 raw = data.tobytes()
-                rh = rolling.runs(lo[on], hi[on] + units.span)
+                rh = rolling.runs(lo[on], stop[on])
                 left, gram, right = [], [], []
-                for p, a, z in zip(place[on].tolist(), lo[on].tolist(), (hi[on] + units.span).tolist()):
+                for p, a, z in zip(place[on].tolist(), lo[on].tolist(), stop[on].tolist()):
                     q = p + units.gram
                     if units.kind == "words":
                         some = [raw[start[k] : end[k]] for k in range(a, z)]
@@ -172,28 +212,30 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
                     left.append(x)
                     gram.append(hashlib.blake2b(g, digest_size=10).digest())
                     right.append(y)
-                yield pa.RecordBatch.from_arrays([pa.array(ts.signed(h[on])), pa.array(ts.signed(rh)), pa.array(ids[on]), pa.array(at[on]), pa.array(left, pa.binary()), pa.array(gram, pa.binary()), pa.array(right, pa.binary()), pa.array((hi - lo + 1)[on].astype(np.int32))], names=["h", "rh", "id", "at", "left", "gram", "right", "n"])
+                wide = [pa.array(x) for x in (ts.signed(h[on]), ts.signed(rh), ids[on], th[on], at[on].astype(np.int32))]
+                yield pa.RecordBatch.from_arrays([*wide, *(pa.array(x, pa.binary()) for x in (left, gram, right)), pa.array((hi - lo + 1)[on].astype(np.int32))], names=["h", "rh", *PLACE, "left", "gram", "right", "n"])
 
-    found = docs.mapInArrow(lean(texts), schema).join(wanted, ["h", "rh", "id", "at"]).dropDuplicates(["h", "rh", "id", "at"])
-    found = found.select("h", "id", "at", "left", "gram", "right", "n", "mixed")
+    found = docs.mapInArrow(lean(texts), schema).join(wanted, ["h", "rh", *PLACE]).dropDuplicates(["h", "rh", *PLACE])
+    found = found.select("h", *PLACE, "left", "gram", "right", "n", "mixed")
 
     def key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """One row a region, or one a window where an anchor has very many contents."""
-        names = ["key", "id", "at", "shift", "left", "gram", "right", "n"]
+        names = ["key", *PLACE, "shift", "left", "gram", "right", "n"]
+        words = units.kind == "words"
         for b in batches:
             out: list[list] = [[] for _ in names]
-            for h, i, at, left, gram, right, n, many in zip(*(c.to_pylist() for c in b.columns)):
+            for h, i, th, at, left, gram, right, n, many in zip(*(c.to_pylist() for c in b.columns)):
                 if many <= together:
-                    rows = [(h, i, at, 0, left, gram, right, n)]
+                    rows = [(h, i, th, at, 0, left, gram, right, n)]
                 else:
                     rows = []
-                    x = left.split(b" ") if units.kind == "words" and left else [] if units.kind == "words" else left
-                    y = right.split(b" ") if units.kind == "words" and right else [] if units.kind == "words" else right
+                    x, y = (side.split(b" ") if words and side else [] if words else side for side in (left, right))
                     for k in range(n):
-                        lo, hi = x[k:], y[: units.span - units.gram - (len(x) - k)]
-                        lo, hi = (b" ".join(lo), b" ".join(hi)) if units.kind == "words" else (lo, hi)
+                        after = units.span - units.gram - (len(x) - k)  # of the window's symbols, those behind the anchor
+                        lo, hi, beyond = x[k:], y[:after], y[: after + units.kept - units.span]
+                        lo, hi, beyond = (b" ".join(lo), b" ".join(hi), b" ".join(beyond)) if words else (lo, hi, beyond)
                         window = hashlib.blake2b(lo + b"\t" + gram + b"\t" + hi, digest_size=8).digest()
-                        rows.append((int.from_bytes(window, "little", signed=True), i, at, k, lo, gram, hi, 1))
+                        rows.append((int.from_bytes(window, "little", signed=True), i, th, at, k, lo, gram, beyond, 1))
                 for row in rows:
                     for o, v in zip(out, row):
                         o.append(v)
@@ -202,9 +244,9 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
                     out = [[] for _ in names]
             yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=names)
 
-    types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int32()]
-    regions = found.mapInArrow(lean(key), "key long, id long, at long, shift int, left binary, gram binary, right binary, n int")
-    return members, groups, regions.repartition("key").sortWithinPartitions("key", "id", "at", "shift")
+    types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int32()]
+    regions = found.mapInArrow(lean(key), "key long, id long, th long, at int, shift int, left binary, gram binary, right binary, n int")
+    return members, groups, regions.repartition("key").sortWithinPartitions("key", *PLACE, "shift")
 
 
 def merged(starts: np.ndarray, span: int) -> tuple[list[int], list[int]]:
@@ -217,11 +259,12 @@ def merged(starts: np.ndarray, span: int) -> tuple[list[int], list[int]]:
 
 
 def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fields: str) -> DataFrame:
-    """``function(text bytes, interval starts, interval ends) -> values of fields`` for every row of ``docs`` (as named() gives them).
+    """``function(text bytes, *columns of marks) -> values of fields`` for every row of ``docs`` (as named() gives them).
 
-    marks: (id, th, a, b) intervals of symbols. Texts travel compressed.
+    marks: id, th and bounds of intervals of symbols, passed on as one array each. Texts travel compressed.
     """
-    each = marks.groupBy("id", "th").agg(F.collect_list(F.struct("a", "b")).alias("marks"))
+    bounds = [c for c in marks.columns if c not in ("id", "th")]
+    each = marks.groupBy("id", "th").agg(F.collect_list(F.struct(*bounds)).alias("marks"))
     kind = docs.schema["original"].dataType.simpleString()
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -233,29 +276,34 @@ def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdDecompressor()
+        none = (np.zeros(0, np.int64),) * len(bounds)
         for b in batches:
             rows = []
-            for z, m in zip(b.column(1).to_pylist(), b.column(2)):
-                at = m.values.flatten() if m.is_valid else None
-                rows.append(function(press.decompress(z), *((at[0].to_numpy(), at[1].to_numpy()) if at else (np.zeros(0, np.int64),) * 2)))
-            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x) for x in zip(*rows))] if rows else [b.column(0)], names=[id_col, *names]) if rows else b.slice(0, 0)
+            for z, m in zip(b.column(1), b.column(2)):
+                rows.append(function(press.decompress(z.as_py()), *([x.to_numpy() for x in m.values.flatten()] if m.is_valid else none)))
+            if rows:
+                yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x) for x in zip(*rows))], names=[id_col, *names])
 
     names = [x.split()[0] for x in fields.split(", ")]
     pressed = docs.mapInArrow(lean(pack), f"original {kind}, id long, th long, z binary")
     return pressed.join(each, ["id", "th"], "left").select("original", "z", "marks").mapInArrow(lean(run), f"`{id_col}` {kind}, {fields}")
 
 
-def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool) -> DataFrame:
-    """Intervals of regions whose content is at several places; without the first place if that is to stay."""
-    many = groups.where("many").select("h", "rh", F.col("id").alias("id0"), F.col("at").alias("at0"))
+def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool, reach: int = 0) -> DataFrame:
+    """(id, th, a, b) intervals of regions whose content is at several places; without the first place if that is to stay.
+
+    With ``reach`` also c: [a, c) is what windows of ``reach`` units cover, empty where the content is shorter.
+    """
+    many = groups.where("many").select("h", "rh", *(F.col(c).alias(f"{c}0") for c in PLACE))
     rows = members.join(many, ["h", "rh"])
     if keep_first:
-        rows = rows.where("id != id0 or at != at0")
-    lo = F.col("at").bitwiseAND(F.lit((1 << 32) - 1))
-    return rows.select("id", F.shiftright("at", 32).alias("th"), lo.alias("a"), (lo + F.col("n") - 1 + span).alias("b"))
+        rows = rows.where("id != id0 or th != th0 or at != at0")
+    a = F.col("at").cast("long")
+    deep = [(a + F.when(F.col("m") >= reach, F.col("m")).otherwise(0)).alias("c")] if reach else []
+    return rows.select("id", "th", a.alias("a"), (a + F.col("n") - 1 + span).alias("b"), *deep)
 
 
 def part_marks(found: DataFrame) -> DataFrame:
-    """Intervals found inside regions: (id, at, a, b) relative to the region's first window."""
-    lo = F.col("at").bitwiseAND(F.lit((1 << 32) - 1))
-    return found.select("id", F.shiftright("at", 32).alias("th"), (lo + F.col("a")).alias("a"), (lo + F.col("b")).alias("b"))
+    """Intervals found inside regions: (id, th, at) and bounds relative to the region's first window."""
+    bounds = [c for c in found.columns if c not in PLACE]
+    return found.select("id", "th", *((F.col("at") + F.col(c)).alias(c) for c in bounds))

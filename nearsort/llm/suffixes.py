@@ -1,13 +1,17 @@
 """Substring removal by suffix arrays built in shards with external induced sorting.
 
-Candidate regions come keyed by anchor. A shard lays them end to end, an anchor's shared gram
-being one symbol of its own, sorts the suffixes with their common-prefix lengths, and marks each
-window that agrees with a neighbour in suffix order over its whole length.
+Candidate regions come keyed by anchor. A shard lays them end to end in a file, an anchor's shared gram
+being one symbol of its own, sorts the suffixes with their common-prefix lengths on disk, and marks each
+window that agrees with a neighbour in suffix order over its whole length. One key may hold any number of regions:
+they go to the file as they arrive.
 """
 
 from __future__ import annotations
 
 import hashlib
+import os
+import tempfile
+from array import array
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -15,119 +19,183 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import recurrence as rec, textscan as ts
-from .induced import sort_suffixes
+from .induced import disk_array, sort_suffixes
 from .lean import lean
 
-#: Bytes of a repeated string, of its anchor; symbols sorted at once unless one anchor has more.
-SPAN, GRAM = 400, 288
+#: Bytes of a removed string; of a passage that is reported (51 words are longer in 99 of 100 cases); of their common anchor.
+SPAN, REPORT, GRAM = 400, 240, 128
 #: Words of a repeated passage ("over 50"), of its anchor.
 PASSAGE, PASSAGE_GRAM = 51, 36
+#: Symbols sorted at once unless one key has more.
 SHARD_SYMBOLS = 1 << 19
+_BLOCK = 1 << 16
 
 
-def _laid_out(rows: list[tuple[bytes, bytes, bytes]]) -> tuple[np.ndarray, np.ndarray]:
-    """The regions end to end as one array of symbols, and where each begins (and the last ends)."""
-    names = {g: 257 + k for k, g in enumerate(dict.fromkeys(g for _, g, _ in rows))}
-    size = [len(x) + len(y) + 2 for x, _, y in rows]
-    text = np.zeros(sum(size), dtype=np.int64)  # 0 ends a region
-    bounds = np.concatenate(([0], np.cumsum(size)))
-    for (x, g, y), a in zip(rows, bounds.tolist()):
-        text[a : a + len(x)] = np.frombuffer(x, np.uint8)
-        text[a + len(x)] = names[g] - 1
-        text[a + len(x) + 1 : a + len(x) + 1 + len(y)] = np.frombuffer(y, np.uint8)
-    text += 1
-    text[bounds[1:] - 1] = 0
-    return text, bounds
-
-
-def repeated_windows(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:
-    """Per region, the starts of windows (in symbols) that occur at another place of the shard too."""
-    text, bounds = _laid_out(rows)
-    order, lcp = sort_suffixes(text, window)
-    same = np.zeros(len(text), bool)
-    at = np.flatnonzero(lcp >= window)
-    same[order[at]] = True
-    same[order[at - 1]] = True
-    return [np.flatnonzero(same[a : max(a, b - window)]) for a, b in zip(bounds.tolist(), bounds[1:].tolist())]
-
-
-def repeated_passages(rows: list[tuple[bytes, bytes, bytes]], window: int) -> list[np.ndarray]:
-    """The same for windows of ``window`` words, the anchor being one of them: suffixes stay those of bytes, and a window's length in bytes is its own."""
-    rows = [(b" " + x + b" " if x else b" ", g, y + b" " if y else b"") for x, g, y in rows]  # a window starts with a blank, so never inside a word
-    text, bounds = _laid_out(rows)
-    starts, lengths = [], []
-    for x, _, y in rows:
-        start = np.flatnonzero(np.frombuffer(x, np.uint8) == 32)
-        end = len(x) + 1 + np.concatenate(([0], np.flatnonzero(np.frombuffer(y, np.uint8) == 32) + 1))
-        after = window - len(start)  # words behind the anchor in the region's first window
-        n = len(end) - after
-        starts.append(start[:n])
-        lengths.append(end[after : after + n] - start[:n])
-    order, lcp = sort_suffixes(text, int(max(x.max() for x in lengths)))
-    shared = np.zeros(len(text), np.int64)
-    shared[order] = lcp
-    shared[order[:-1]] = np.maximum(shared[order[:-1]], lcp[1:])
-    return [np.flatnonzero(shared[a + x] >= n) for a, x, n in zip(bounds.tolist(), starts, lengths)]
-
-
-def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int, repeated: Callable = repeated_windows) -> Iterator[pa.RecordBatch]:
-    window = span - gram + 1
-    rows, spots, symbols, key = [], [], 0, None
-
-    def flush() -> pa.RecordBatch:
-        out = ([], [], [], [])
-        for (i, at, shift), starts in zip(spots, repeated(rows, window)):
-            a, b = rec.merged(starts + shift, span)
-            out[0].extend([i] * len(a))
-            out[1].extend([at] * len(a))
-            out[2].extend(a)
-            out[3].extend(b)
-        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=["id", "at", "a", "b"])
+class Shard:
+    """Regions laid end to end in a file as 32-bit symbols: 0 ends a region, bytes are 1 to 256, grams follow.
+
+    kind "bytes": a region's windows start at its first symbols and have ``window`` symbols; those of ``deep`` are told apart too.
+    kind "words": a window starts with a blank, so never inside a word, and has ``window`` words, the anchor being one; its length in bytes is its own.
+    """
+
+    def __init__(self, kind: str, window: int, deep: int = 0):
+        self.kind, self.window, self.deep = kind, window, deep
+        self.folder = tempfile.TemporaryDirectory()
+        self.file = open(os.path.join(self.folder.name, "text"), "wb")
+        self.size, self.names = 0, {}
+        self.bounds, self.windows = array("q", [0]), array("q")
+        self.starts, self.lengths = array("q"), array("q")
+
+    def add(self, left: bytes, gram: bytes, right: bytes, n: int) -> None:
+        if self.kind == "words":
+            left, right = b" " + left + b" " if left else b" ", right + b" " if right else b""
+            start = np.flatnonzero(np.frombuffer(left, np.uint8) == 32)
+            end = len(left) + 1 + np.concatenate(([0], np.flatnonzero(np.frombuffer(right, np.uint8) == 32) + 1))
+            after = self.window - len(start)  # words behind the anchor in the region's first window
+            n = len(end) - after
+            self.starts.frombytes(start[:n].astype(np.int64).tobytes())
+            self.lengths.frombytes((end[after : after + n] - start[:n]).astype(np.int64).tobytes())
+        size = len(left) + len(right) + 2
+        symbols = np.zeros(size, np.int32)
+        symbols[: len(left)] = np.frombuffer(left, np.uint8)
+        symbols[len(left)] = self.names.setdefault(gram, 256 + len(self.names))
+        symbols[len(left) + 1 : -1] = np.frombuffer(right, np.uint8)
+        symbols += 1
+        symbols[-1] = 0
+        symbols.tofile(self.file)
+        self.size += size
+        self.bounds.append(self.size)
+        self.windows.append(n)
+
+    def repeated(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Per region, the numbers of windows that occur at another place of the shard too, and those of deep windows."""
+        self.file.close()
+        none = np.zeros(0, np.int64)
+        if not self.size:
+            return
+        text = np.memmap(self.file.name, dtype=np.int32, mode="r")
+        starts, lengths = (np.frombuffer(x, np.int64) for x in (self.starts, self.lengths))
+        cap = max(self.window, self.deep) if self.kind == "bytes" else int(lengths.max())
+        order, lcp = sort_suffixes(text, cap, self.folder.name)
+        shared = self._shared(order, lcp, self._windows_at(len(text), starts))
+        used = 0
+        for a, b, n in zip(self.bounds, self.bounds[1:], self.windows):
+            if self.kind == "words":
+                yield np.flatnonzero(shared[a + starts[used : used + n]] >= lengths[used : used + n]), none
+                used += n
+            else:
+                some = np.asarray(shared[a : a + n])
+                yield np.flatnonzero(some >= self.window), np.flatnonzero(some[: max(0, b - a - self.deep)] >= self.deep) if self.deep else none
+
+    def _windows_at(self, n: int, starts: np.ndarray) -> np.ndarray:
+        """Where windows start: what is kept beyond a window may hold the same place of a text as another row."""
+        out, used = disk_array(self.folder.name, n, np.bool_), 0
+        for a, k in zip(self.bounds, self.windows):
+            if self.kind == "words":
+                out[a + starts[used : used + k]] = True
+                used += k
+            else:
+                out[a : a + k] = True
+        return out
+
+    def _shared(self, order: np.ndarray, lcp: np.ndarray, on: np.ndarray) -> np.ndarray:
+        """Of each place that is ``on``, the longest prefix it shares with any other such place: with the next or the last of them in suffix order."""
+        out, before, least = disk_array(self.folder.name, len(on), np.int32), None, 1 << 30
+        for a in range(0, len(order), _BLOCK):
+            place, length = np.asarray(order[a : a + _BLOCK]), np.asarray(lcp[a : a + _BLOCK])
+            at = np.flatnonzero(on[place])
+            if not len(at):
+                least = min(least, int(length.min()))
+                continue
+            both = np.minimum.reduceat(length[: at[-1] + 1], np.concatenate(([0], at[:-1] + 1)))
+            both[0] = 0 if before is None else min(least, int(both[0]))
+            out[place[at]] = np.maximum(both, np.append(both[1:], 0))
+            if before is not None:
+                out[before] = max(int(out[before]), int(both[0]))
+            before, rest = place[at[-1]], length[at[-1] + 1 :]
+            least = int(rest.min()) if len(rest) else 1 << 30
+        return out
+
+    def close(self) -> None:
+        self.file.close()
+        self.folder.cleanup()
+
+
+def _search(batches: Iterator[pa.RecordBatch], units: rec.Units, shard: int) -> Iterator[pa.RecordBatch]:
+    """(id, th, at, a, b) of intervals of windows that recur; with a reach also c, [a, c) being intervals of windows of that length."""
+    deep = units.reach - units.gram + 1 if units.reach > units.span else 0
+    names = ["id", "th", "at", "a", "b", *(["c"] if deep else [])]
+    now, places, key = None, array("q"), None
+
+    def flush() -> Iterator[pa.RecordBatch]:
+        out: list[list[int]] = [[] for _ in names]
+        for k, (some, far) in enumerate(now.repeated()):
+            if not len(some):
+                continue
+            i, th, at, shift = places[4 * k : 4 * k + 4]
+            a, b = rec.merged(some + shift, units.span)
+            rows = [(x, y, x) for x, y in zip(a, b)]
+            if len(far):
+                a, b = rec.merged(far + shift, units.reach)
+                rows += [(x, x, y) for x, y in zip(a, b)]
+            for row in rows:
+                for o, v in zip(out, (i, th, at, *row)):
+                    o.append(v)
+            if len(out[0]) > 50_000:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=names)
+                out = [[] for _ in names]
+        yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=names)
+        now.close()
 
     for b in batches:
-        for k, i, at, shift, left, g, right, n in zip(*(c.to_pylist() for c in b.columns)):
-            if k != key and symbols >= shard:
-                yield flush()
-                rows, spots, symbols = [], [], 0
+        for k, i, th, at, shift, left, g, right, n in zip(*(c.to_pylist() for c in b.columns)):
+            if now is not None and k != key and now.size >= shard:
+                yield from flush()
+                now = None
+            if now is None:
+                now, places = Shard(units.kind, units.span - units.gram + 1, deep), array("q")
             key = k
-            rows.append((left, g, right))
-            spots.append((i, at, shift))
-            symbols += len(left) + len(right) + 2
-    if rows:
-        yield flush()
+            now.add(left, g, right, n)
+            places.extend((i, th, at, shift))
+    if now is not None:
+        yield from flush()
+
 
+def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, kind: str = "bytes", reach: int = 0, piece: int = rec.PIECE_BYTES) -> DataFrame:
+    """(id, th, a, b): intervals of bytes (or words) covered by runs of ``span`` that start anywhere else too; they may overlap.
 
-def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, kind: str = "bytes") -> DataFrame:
-    """(id, th, a, b): intervals of bytes (or words) covered by runs of ``span`` that start anywhere else too; they may overlap."""
-    members, groups, regions = rec.find(prepared, rec.Units(kind, span, gram), together)
-    repeated = repeated_passages if kind == "words" else repeated_windows
-    found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard, repeated)), "id long, at long, a long, b long")
-    return rec.whole_marks(members, groups, span, keep_first=False).unionByName(rec.part_marks(found))
+    With a ``reach`` (bytes only) also c: [a, c) are intervals covered by runs of ``reach``; either interval of a row may be empty.
+    """
+    units = rec.Units(kind, span, gram, reach, piece)
+    members, groups, regions = rec.find(prepared, units, together)
+    found = regions.mapInArrow(lean(lambda x: _search(x, units, shard)), "id long, th long, at long, a long, b long" + (", c long" if reach > span else ""))
+    return rec.whole_marks(members, groups, span, keep_first=False, reach=reach if reach > span else 0).unionByName(rec.part_marks(found))
 
 
 def _kept(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[bytes, int, int]:
-    if not len(a):
-        return text, 0, 0
     gone = ts.cover(len(text), a, b)
+    if not gone.any():
+        return text, 0, 0
     spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum())
     return np.frombuffer(text, np.uint8)[~gone].tobytes(), int(gone.sum()), spans
 
 
-def removed(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[int, int, int, str]:
-    kept, gone, spans = _kept(text, a, b)
-    return len(text), gone, spans, hashlib.sha256(kept).hexdigest()
+def removed(text: bytes, a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[int, int, int, str, int]:
+    kept, gone, spans = _kept(text, a, c)
+    return len(text), gone, spans, hashlib.sha256(kept).hexdigest(), int(ts.cover(len(text), a, b).sum())
 
 
-def remove_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS) -> DataFrame:
-    """n_bytes, n_removed, n_spans and kept_sha256 of every document.
+def remove_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, report: int = REPORT, piece: int = rec.PIECE_BYTES) -> DataFrame:
+    """n_bytes, n_removed, n_spans, kept_sha256 and n_passage_bytes of every document.
 
     A byte goes if a string of ``span`` bytes over it also starts anywhere else, in any document or its
-    own; shorter texts lose nothing. A null text is empty. Null ids are documents like any other.
+    own; shorter texts lose nothing. n_passage_bytes counts bytes covered by repeated strings of ``report`` bytes, less than
+    ``span``: passages of over 50 words are reported that are too short to go. A null text is empty. Null ids are documents like any other.
     Rows that repeat an id with the same text count as one document and each get its result. An empty
     table gives an empty result; further columns are ignored.
     """
-    marks = intervals(rec.prepare(docs, id_col, text_col), span, gram, together, shard)
-    return rec.apply(rec.named(docs, id_col, text_col), marks, id_col, removed, "n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    marks = intervals(rec.prepare(docs, id_col, text_col), report, gram, together, shard, reach=span, piece=piece)
+    return rec.apply(rec.named(docs, id_col, text_col), marks, id_col, removed, "n_bytes long, n_removed long, n_spans long, kept_sha256 string, n_passage_bytes long")
 
 
 def _without_words(text: bytes, a: np.ndarray, b: np.ndarray) -> bytes:

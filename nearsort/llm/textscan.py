@@ -14,7 +14,7 @@ import pyarrow as pa
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BASE_WORD = np.uint64(0xD1342543DE82EF95)
-#: UTF-8 bytes handled at once; a longer document is a group of its own.
+#: UTF-8 bytes handled at once; a longer document is a group of its own, which recurrence.Units scans piece by piece.
 GROUP_BYTES = 1 << 19
 
 
@@ -137,7 +137,16 @@ def byte_hash(data: np.ndarray) -> Rolling:
 
 
 def word_hash(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    return byte_hash(data).runs(start, end)
+    """Hashes of words; of a long document the bytes of some words at a time, as prefix sums take tens of bytes a byte."""
+    if len(data) <= 2 * GROUP_BYTES or not len(start):
+        return byte_hash(data).runs(start, end)
+    out, k = np.empty(len(start), dtype=np.uint64), 0
+    while k < len(start):
+        to = max(k + 1, int(np.searchsorted(end, start[k] + GROUP_BYTES, side="right")))
+        a = start[k]
+        out[k:to] = byte_hash(data[a : end[to - 1]]).runs(start[k:to] - a, end[k:to] - a)
+        k = to
+    return out
 
 
 def word_rolling(hashes: np.ndarray) -> Rolling:
@@ -158,12 +167,12 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(behind[: n - width + 1], ahead[width - 1 : n])
 
 
-def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, ...]:
+def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int, limit: int | None = None) -> tuple[np.ndarray, ...]:
     """Minimizer anchors of every window of ``span`` symbols inside a document.
 
     Equal windows choose an equal gram at an equal place, so two windows can only be equal if
     their anchors are. Returned per anchor: gram hash, gram position, first and last window start
-    that chose it, document number.
+    that chose it, document number. ``limit``: windows of the first document that count, if not all.
     """
     n = len(rolling.prefix) - 1
     empty = np.zeros(0, np.int64)
@@ -176,6 +185,8 @@ def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int) -> tuple
     chosen = (sliding_min(packed, span - gram + 1) & low).astype(np.int64)
     long = np.flatnonzero(lengths >= span)
     count = lengths[long] - span + 1
+    if limit is not None:
+        count = np.minimum(count, limit)
     doc = np.repeat(long, count)
     first = np.repeat(bounds[long] - np.concatenate(([0], np.cumsum(count)[:-1])), count)
     starts = np.arange(len(doc)) + first
@@ -191,8 +202,15 @@ def signed(x: np.ndarray) -> np.ndarray:
 
 
 def cover(n: int, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """Which of n places lie in any of the intervals [start, end)."""
-    step = np.zeros(n + 1, dtype=np.int64)
-    np.add.at(step, starts, 1)
-    np.add.at(step, ends, -1)
-    return np.cumsum(step[:-1]) > 0
+    """Which of n places lie in any of the intervals [start, end); a byte a place."""
+    some = ends > starts
+    starts, ends = starts[some], ends[some]
+    if not len(starts):
+        return np.zeros(n, dtype=bool)
+    order = np.argsort(starts, kind="stable")
+    s, e = starts[order], np.maximum.accumulate(ends[order])
+    new = np.flatnonzero(np.concatenate(([True], s[1:] > e[:-1])))
+    step = np.zeros(n + 1, dtype=np.int8)
+    step[s[new]] = 1
+    step[e[np.append(new[1:], len(s)) - 1]] = -1
+    return np.cumsum(step[:-1], dtype=np.int8) > 0

@@ -47,17 +47,26 @@ def plain_phrases(rows, span):
     return out
 
 
-@pytest.mark.parametrize("together, shard", [(4096, 50_000), (1, 40)])
-def test_phrases(docs, odd, together, shard):
+@pytest.mark.parametrize("together, shard, piece", [(4096, 50_000, 1 << 19), (1, 40, 1 << 19), (4096, 50_000, 700), (1, 40, 700)])
+def test_phrases(docs, odd, together, shard, piece):
     for df in both(docs, odd):
-        got = Counter(map(tuple, phrases.remove_repeats(df, together=together, shard=shard).collect()))
+        got = Counter(map(tuple, phrases.remove_repeats(df, together=together, shard=shard, piece=piece).collect()))
         assert got == plain_phrases(rows_of(df), 20)
 
 
 # op8
 
+_known = {}
+
 
 def plain_suffixes(rows, span):
+    name = span, tuple(rows)
+    if name not in _known:
+        _known[name] = count_suffixes(rows, span)
+    return _known[name]
+
+
+def count_suffixes(rows, span):
     texts = {(i, t): t.encode() for i, t in rows}
     count = Counter(b[s : s + span] for b in texts.values() for s in range(len(b) - span + 1))
     out = Counter()
@@ -72,11 +81,67 @@ def plain_suffixes(rows, span):
     return out
 
 
-@pytest.mark.parametrize("together, shard", [(4096, 1 << 19), (1, 500)])
-def test_suffixes(docs, odd, together, shard):
+@pytest.mark.parametrize("together, shard, piece", [(4096, 1 << 19, 1 << 19), (1, 500, 1 << 19), (4096, 1 << 19, 700), (1, 500, 700)])
+def test_suffixes(docs, odd, together, shard, piece):
     for df in both(docs, odd):
-        got = Counter(map(tuple, suffixes.remove_substrings(df, together=together, shard=shard).collect()))
-        assert got == plain_suffixes(rows_of(df), 400)
+        rows = suffixes.remove_substrings(df, together=together, shard=shard, piece=piece).collect()
+        assert Counter(tuple(r)[:5] for r in rows) == plain_suffixes(rows_of(df), 400)
+        assert Counter((r.doc_id, r.n_bytes, r.n_passage_bytes) for r in rows) == Counter({k: n for (i, size, gone, _, _), n in plain_suffixes(rows_of(df), 240).items() for k in [(i, size, gone)]})
+
+
+def test_suffixes_report_short_passages(spark):
+    rng = np.random.default_rng(9)
+    prose = lambda n: " ".join("".join(rng.choice(list("abcdefgh"), rng.integers(3, 9))) for _ in range(n))
+    passages = [" ".join(p.split()[:51]) for p in (prose(60) for _ in range(6))]
+    rows = [(10 * k + j, f"{prose(40)}\n{p} {prose(30)}") for k, p in enumerate(passages) for j in range(2)] + [(900 + k, prose(120)) for k in range(12)]
+    got = {r.doc_id: r for r in suffixes.remove_substrings(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(max(map(len, passages)) < 400 and r.n_removed == 0 and (r.n_passage_bytes > 0) == (i < 900) for i, r in got.items())
+
+
+def brute_shard(regions, window, deep):
+    count, far = Counter(), Counter()
+    for left, _, right in regions:
+        t = [*left, -1, *right]
+        for s in range(len(left) + 1):
+            if s + window <= len(t):
+                count[tuple(t[s : s + window])] += 1
+            if s + deep <= len(t):
+                far[tuple(t[s : s + deep])] += 1
+    out = []
+    for left, _, right in regions:
+        t = [*left, -1, *right]
+        some = [s for s in range(len(left) + 1) if s + window <= len(t) and count[tuple(t[s : s + window])] > 1]
+        out.append((some, [s for s in range(len(left) + 1) if s + deep <= len(t) and far[tuple(t[s : s + deep])] > 1]))
+    return out
+
+
+def test_shards_sort_on_disk_in_the_query_path(monkeypatch):
+    """A shard of full size writes the queue's runs and its arrays to files; with a low bound on names the recursion runs too."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(2)
+    base = [bytes(rng.integers(97, 101, 60).astype(np.uint8)) for _ in range(12)]
+    regions = []
+    while sum(len(x) + len(y) + 2 for x, _, y in regions) < 1 << 19:
+        a, b = base[rng.integers(12)], base[rng.integers(12)]
+        regions.append((a[rng.integers(40) :], b"g", b[: rng.integers(20, 60)] + bytes(rng.integers(97, 100, 6).astype(np.uint8))))
+    window, deep = 30, 50
+    want = brute_shard(regions, window, deep)
+    for low in (False, True):
+        if low:
+            monkeypatch.setattr(induced.sort_suffixes, "__defaults__", (1 << 62, None, 1 << 12, 1 << 10))
+        induced.COUNTERS.clear()
+        n = [sum(s + window <= len(x) + 1 + len(y) for s in range(len(x) + 1)) for x, _, y in regions]
+        columns = [[7] * len(regions), range(len(regions)), [0] * len(regions), [0] * len(regions), [0] * len(regions), *zip(*regions), n]
+        batch = pa.RecordBatch.from_arrays([pa.array(list(c)) for c in columns], names=["key", "id", "th", "at", "shift", "left", "gram", "right", "n"])
+        units = suffixes.rec.Units("bytes", window + 9, 10, deep + 9)
+        got = {k: (set(), set()) for k in range(len(regions))}
+        for out in suffixes._search(iter([batch]), units, suffixes.SHARD_SYMBOLS):
+            for i, a, b, c in zip(*(out.column(x).to_pylist() for x in ("id", "a", "b", "c"))):
+                got[i][0].update(range(a, b - units.span + 1))
+                got[i][1].update(range(a, c - units.reach + 1))
+        assert [(sorted(x), sorted(y)) for x, y in got.values()] == want
+        assert induced.COUNTERS["spilled"] > 0 and induced.COUNTERS["filed"] > 0 and (induced.COUNTERS["recursed"] > 0) == low
 
 
 def test_cut_texts_keeps_columns(odd):
@@ -84,8 +149,11 @@ def test_cut_texts_keeps_columns(odd):
     assert out.columns == odd.columns and out.count() == odd.count() and out.where("text is null").count() == 1
 
 
-@pytest.mark.parametrize("keywords", [{}, {"entries": 5}, {"entries": 5, "names_in_memory": 0}])
-def test_induced_order(keywords):
+@pytest.mark.parametrize("keywords, small", [({}, False), ({"entries": 5}, False), ({"entries": 5, "names_in_memory": 0}, False), ({"entries": 5, "names_in_memory": 0}, True)])
+def test_induced_order(keywords, small, monkeypatch):
+    if small:
+        monkeypatch.setattr(induced, "CHUNK", 7)
+        monkeypatch.setattr(induced, "SMALL", 3)
     rng = np.random.default_rng(1)
     for _ in range(200):
         t = rng.integers(0, rng.integers(1, 5), rng.integers(0, 50))

@@ -10,12 +10,14 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import textscan as ts
+from .durable import cut
 from .lean import lean
 
 #: Words in a window, in a shingle; benchmark bytes that one broadcast block may hold.
@@ -143,6 +145,38 @@ def blocks_of(benchmark: DataFrame, item_col: str, text_col: str, window: int, s
             yield block
 
 
+def _text_key(text_col: str) -> list:
+    """Two hashes by which texts are told apart."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    return [F.xxhash64(text).alias("__k1"), F.xxhash64(F.lit(1), text).alias("__k2")]
+
+
+def _hits_by_block(docs: DataFrame, blocks: Iterator[Block], text_col: str) -> DataFrame | None:
+    """(__k1, __k2, places, items) of texts with a hit, one row a text: each block's hits are written before the next block is taken up."""
+    sc, parts = docs.sparkSession.sparkContext, []
+    source = docs.select(*_text_key(text_col), F.col(text_col).alias("t"))
+    for block in blocks:
+        block.choose(_rarity(docs, text_col, block))
+        shared = sc.broadcast(block)
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                got = [(row, at, sorted(names)) for row, _, at, names in find(shared.value, b.column(2)) if len(at)]
+                rows = pa.array([r for r, _, _ in got], pa.int64())
+                yield pa.RecordBatch.from_arrays([b.column(0).take(rows), b.column(1).take(rows), pa.array([x.tolist() for _, x, _ in got], pa.list_(pa.int64())), pa.array([x for _, _, x in got], pa.list_(pa.string()))], names=["__k1", "__k2", "places", "items"])
+
+        hits = source.mapInArrow(lean(run), "__k1 long, __k2 long, places array<long>, items array<string>")
+        parts.append(cut(hits.dropDuplicates(["__k1", "__k2"])))
+        shared.destroy()
+    if not parts:
+        return None
+    every = parts[0]
+    for x in parts[1:]:
+        every = every.unionByName(x)
+    united = lambda c: F.array_distinct(F.flatten(F.collect_list(c))).alias(c)
+    return every.groupBy("__k1", "__k2").agg(united("places"), united("items"))
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, shingle: int = SHINGLE, block_bytes: int = BLOCK_BYTES, keep: bool = False) -> DataFrame:
     """n_words, n_hit, n_items, items_sha256, contaminated of every document.
 
@@ -150,33 +184,38 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     words are at least a twentieth of all. A null text has no words; an item without words has no
     window; null item ids count as the empty id. Rows are judged one by one, so repeated rows
     get equal verdicts. Further columns are dropped unless ``keep``; a clashing name is replaced.
-    A benchmark larger than one block is worked through block by block; the hit places of
-    the blocks are then united per row.
+    A benchmark larger than one block is worked through block by block; the hits of each are written
+    to shared storage, and united per text at the end, so no worker holds more than one block.
     """
     own = ["n_words", "n_hit", "n_items", "items_sha256", "contaminated"]
     others = [c for c in docs.columns if keep and c not in {id_col, *own}]
-    source = docs.select(id_col, *others, F.col(text_col).alias("__text"))
     kept = "".join(f"`{c}` {docs.schema[c].dataType.simpleString()}, " for c in [id_col, *others])
-    shared, sc = [], docs.sparkSession.sparkContext
-    for block in blocks_of(benchmark, item_col, item_text_col, window, shingle, block_bytes):
-        block.choose(_rarity(docs, text_col, block))
-        shared.append(sc.broadcast(block))
-    empty = Block([], window, shingle)
-    empty.choose({})
+    blocks = blocks_of(benchmark, item_col, item_text_col, window, shingle, block_bytes)
+    first, second = next(blocks, None), next(blocks, None)
+    if second is not None:
+        return _judged_by_hits(docs, _hits_by_block(docs, chain((first, second), blocks), text_col), id_col, text_col, others)
+    source = docs.select(id_col, *others, F.col(text_col).alias("__text"))
+    only = first or Block([], window, shingle)
+    only.choose(_rarity(docs, text_col, only) if first else {})
+    shared = docs.sparkSession.sparkContext.broadcast(only)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             column = b.column(b.num_columns - 1)
-            n_words, hit, items = [0] * len(column), [np.zeros(0, np.int64)] * len(column), [set() for _ in range(len(column))]
-            for block in [x.value for x in shared] or [empty]:
-                for row, n, at, names in find(block, column):
-                    n_words[row] = n
-                    hit[row] = np.union1d(hit[row], at) if len(at) else hit[row]
-                    items[row] |= names
-            n_hit = [len(x) for x in hit]
-            yield pa.RecordBatch.from_arrays(
-                [*b.columns[:-1], pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([len(x) for x in items], pa.int64()), pa.array([hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in items]), pa.array([h > 0 and 20 * h >= n for h, n in zip(n_hit, n_words)], pa.bool_())],
-                names=[id_col, *others, *own],
-            )
+            rows = [(n, len(at), len(names), hashlib.sha256(",".join(sorted(names)).encode()).hexdigest(), len(at) > 0 and 20 * len(at) >= n) for _, n, at, names in find(shared.value, column)]
+            values = list(zip(*rows)) or [()] * len(own)
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], *(pa.array(v, k) for v, k in zip(values, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_())))], names=[id_col, *others, *own])
 
     return source.mapInArrow(lean(run), kept + "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+
+
+def _judged_by_hits(docs: DataFrame, hits: DataFrame, id_col: str, text_col: str, others: list[str]) -> DataFrame:
+    """The verdicts of contamination() from the united hits of all blocks."""
+    words = F.regexp_count(F.coalesce(F.col(text_col), F.lit("")), F.lit("[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+")).cast("long")
+    rows = docs.select(id_col, *others, *_text_key(text_col), words.alias("__n")).join(hits, ["__k1", "__k2"], "left")
+    n_hit = F.when(F.col("places").isNull(), F.lit(0)).otherwise(F.size("places")).cast("long")
+    names = F.coalesce(F.array_join(F.array_sort("items"), ","), F.lit(""))
+    return rows.select(
+        id_col, *others, F.col("__n").alias("n_words"), n_hit.alias("n_hit"), F.when(F.col("items").isNull(), F.lit(0)).otherwise(F.size("items")).cast("long").alias("n_items"),
+        F.sha2(names.cast("binary"), 256).alias("items_sha256"), ((n_hit > 0) & (20 * n_hit >= F.col("__n"))).alias("contaminated"),
+    )

@@ -9,15 +9,17 @@ vectors, the sums also estimate how much two multisets share.
 
 from __future__ import annotations
 
+from collections import Counter
+
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 #: 60-bit hash words per paragraph; each gives 60 lanes.
 WORDS = 3
 MODULUS = 1 << 16
 _PAIR = (1 << 30) | 1
-#: Rows of an id range on average, and ranges at most (their bounds are held by the driver).
+#: Rows of an id range on average, and ranges at most (their bounds are held by the driver, a few MB); beyond 200 million rows ranges grow, and sort on disk.
 RANGE_ROWS = 4096
-MAX_RANGES = 10_000
+MAX_RANGES = 50_000
 
 
 def paragraphs(text: Column) -> Column:
@@ -31,11 +33,11 @@ def _sums(unit: Column) -> list[Column]:
     return [F.count(unit).alias("n"), *(F.coalesce(F.sum(F.when(unit.isNotNull(), F.shiftright(h, b).bitwiseAND(F.lit(_PAIR)))), F.lit(0)).alias(f"s{w * 30 + b}") for w, h in enumerate(hashes) for b in range(30))]
 
 
-def _lanes() -> list[Column]:
-    """``n`` and ``lanes`` (array<bigint>), modulo 2**16, from the columns of _sums()."""
-    low, high = F.lit((1 << 30) - 1), F.lit(MODULUS - 1)
+def _lanes(modulus: int = MODULUS) -> list[Column]:
+    """``n`` and ``lanes`` (array<bigint>), modulo a power of two up to 2**30, from the columns of _sums()."""
+    high = F.lit(modulus - 1)
     each = [F.col(f"s{k}") for k in range(WORDS * 30)]
-    return [F.col("n").bitwiseAND(high).alias("n"), F.array(*(c.bitwiseAND(low).bitwiseAND(high) for c in each), *(F.shiftright(c, 30).bitwiseAND(high) for c in each)).alias("lanes")]
+    return [F.col("n").bitwiseAND(high).alias("n"), F.array(*(c.bitwiseAND(high) for c in each), *(F.shiftright(c, 30).bitwiseAND(high) for c in each)).alias("lanes")]
 
 
 def fingerprints(docs: DataFrame, keys: list[str], text_col: str = "text") -> DataFrame:
@@ -50,8 +52,8 @@ def combine(n: Column, lanes: Column, other_n: Column, other_lanes: Column, sign
 
 
 def text_of(n: Column, lanes: Column) -> Column:
-    """Hexadecimal, four digits each."""
-    digits = lambda c: F.lpad(F.hex(c), 4, "0")
+    """Hexadecimal of all modulo 2**16, four digits each."""
+    digits = lambda c: F.lpad(F.hex(c.bitwiseAND(F.lit(MODULUS - 1))), 4, "0")
     return F.lower(F.concat(digits(n), F.array_join(F.transform(lanes, digits), "")))
 
 
@@ -59,27 +61,64 @@ def _signed(x: Column) -> Column:
     return F.pmod(x + F.lit(MODULUS // 2), F.lit(MODULUS)) - F.lit(MODULUS // 2)
 
 
-def likeness(n: Column, lanes: Column, other_n: Column, other_lanes: Column) -> Column:
+def likeness(n: Column, lanes: Column, other_n: Column, other_lanes: Column, wrapped: bool = True) -> Column:
     """1 for equal fingerprints, else about the shared part of both multisets, in 0..1; two empty texts: 1.
 
-    ``n`` and ``other_n`` should be plain columns: they are used inside lambdas.
+    ``n`` and ``other_n`` should be plain columns: they are used inside lambdas. ``wrapped`` sums are known modulo 2**16 only: with 32,768
+    paragraphs or more their sign is lost and the estimate means nothing. Sums before reduction have no such bound.
     """
-    zero = F.lit(0).cast("long")
+    zero = F.lit(0.0)
+    of = _signed if wrapped else (lambda x: x)
 
     def square(values: Column, count: Column) -> Column:
-        return F.aggregate(values, zero, lambda s, c: s + _signed(2 * c - count) * _signed(2 * c - count))
+        return F.aggregate(values, zero, lambda s, c: s + F.pow(of(2 * c - count).cast("double"), F.lit(2)))
 
-    apart = F.aggregate(F.zip_with(lanes, other_lanes, lambda p, q: _signed(2 * (p - q) - (n - other_n))), zero, lambda s, d: s + d * d)
+    apart = F.aggregate(F.zip_with(lanes, other_lanes, lambda p, q: of(2 * (p - q) - (n - other_n))), zero, lambda s, d: s + F.pow(d.cast("double"), F.lit(2)))
     both = square(lanes, n) + square(other_lanes, other_n)
-    return F.when(apart == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.lit(1.0) - apart.cast("double") / F.nullif(both, F.lit(0)).cast("double")))
+    return F.when(apart == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.lit(1.0) - apart / F.nullif(both, F.lit(0.0))))
 
 
-def _range_of(key: Column, cuts: list[int]) -> Column:
-    """Number of cuts below the key, by binary search in a literal array."""
+def _range_of(key: Column, th: Column, cuts: list[tuple[int, int]]) -> Column:
+    """Number of cuts below (key, th), by binary search in two literals."""
     if not cuts:
         return F.lit(0)
-    table, steps = F.array(*map(F.lit, cuts)), [1 << k for k in reversed(range(len(cuts).bit_length()))]
-    return F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), lambda at, s: F.when((at + s <= len(cuts)) & (F.try_element_at(table, at + s) < key), at + s).otherwise(at))
+    keys, ths = (_literal([c[k] for c in cuts], "bigint") for k in (0, 1))
+    steps = F.array(*(F.lit(1 << k) for k in reversed(range(len(cuts).bit_length()))))
+
+    def below(at: Column) -> Column:
+        k = F.try_element_at(keys, at)
+        return (at <= len(cuts)) & ((k < key) | ((k == key) & (F.try_element_at(ths, at) < th)))
+
+    return F.aggregate(steps, F.lit(0), lambda at, s: F.when(below(at + s), at + s).otherwise(at))
+
+
+def _literal(values: list, kind: str) -> Column:
+    """An array literal: one call whatever its length, folded into a constant by the optimizer."""
+    return F.split(F.lit(",".join(map(str, values))), ",").cast(f"array<{kind}>")
+
+
+def _shares(parts: int) -> Column:
+    return _literal([k / parts for k in range(1, parts)], "double")
+
+
+def _cuts(keyed: DataFrame, range_rows: int) -> list[tuple[int, int]]:
+    """Bounds of ranges of about ``range_rows`` rows of (key, th). A key that fills several ranges is cut by th."""
+    n = keyed.count()
+    parts = max(1, min(MAX_RANGES, -(-n // range_rows)))
+    if parts == 1:
+        return []
+    got = Counter(keyed.agg(F.percentile_approx("key", _shares(parts), max(10_000, 4 * parts))).first()[0])
+    top = (1 << 63) - 1
+    cuts = {(k, top) for k in got}
+    wide = {k: n + 1 for k, n in got.items() if n > 1}
+    if wide:
+        most = max(wide.values())
+        some = keyed.join(F.broadcast(keyed.sparkSession.createDataFrame([(k,) for k in wide], "key long")), "key")
+        for r in some.groupBy("key").agg(F.percentile_approx("th", _shares(most), max(10_000, 4 * most)).alias("at")).collect():
+            step = max(1, most // wide[r.key])
+            cuts |= {(r.key, t) for t in r.at[step - 1 :: step]}
+            cuts.add((r.key - 1, top) if r.key > -(1 << 63) else (r.key, -(1 << 63)))
+    return sorted(cuts)
 
 
 def edited(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_rows: int = RANGE_ROWS) -> DataFrame:
@@ -88,18 +127,13 @@ def edited(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rang
     The edited text has its last floor(n/2) code points replaced by the first as many (or all) of the
     next document, in descending order of ids; the last document's next is the first. Null ids come
     last, equal ids go by the text's hash, repeated rows follow one another. A null text
-    is empty. One row alone is its own next. An empty table gives an empty result.
+    is empty. Likeness is taken from whole sums, fingerprints hold them modulo 2**16. One row alone is its own next. An empty table gives an empty result.
     """
     base = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("th", F.xxhash64("text"))
     low = F.lit(-(1 << 63))
     key = F.coalesce(F.col("id").cast("long"), low)
-    n = docs.count()
-    parts = max(1, min(MAX_RANGES, -(-n // range_rows)))
-    cuts: list[int] = []
-    if parts > 1:
-        got = docs.agg(F.percentile_approx(F.coalesce(F.col(id_col).cast("long"), low), [k / parts for k in range(1, parts)], max(10_000, 4 * parts))).first()[0]
-        cuts = sorted(set(got))
-    base = base.withColumn("range", _range_of(key, cuts))
+    cuts = _cuts(docs.select(F.coalesce(F.col(id_col).cast("long"), low).alias("key"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("th")), range_rows)
+    base = base.withColumn("range", _range_of(key, F.col("th"), cuts))
     # the first row of each range that has rows, for the range above it; a number of rows that MAX_RANGES bounds
     tops = sorted((r.range, r.top) for r in base.groupBy("range").agg(F.max(F.struct(key.alias("key"), "th")).alias("top")).collect())
     target = {}
@@ -119,7 +153,7 @@ def edited(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rang
     # both texts' paragraphs; ranges stay where they are, so neither aggregation nor the second window moves rows
     of = lambda c, k: F.transform(paragraphs(F.col(c)), lambda u: F.struct(F.lit(k).alias("k"), u.alias("u")))
     units = rows.select("range", "row", "doc", F.explode_outer(F.concat(of("text", 0), F.coalesce(of("changed", 1), F.array().cast("array<struct<k:int,u:string>>")))).alias("x"))
-    sums = units.select("range", "row", F.coalesce("x.k", F.lit(0)).alias("k"), "doc", F.col("x.u").alias("u")).groupBy("range", "row", "k").agg(F.first("doc").alias("doc"), *_sums(F.col("u"))).select("range", "row", "k", "doc", *_lanes())
+    sums = units.select("range", "row", F.coalesce("x.k", F.lit(0)).alias("k"), "doc", F.col("x.u").alias("u")).groupBy("range", "row", "k").agg(F.first("doc").alias("doc"), *_sums(F.col("u"))).select("range", "row", "k", "doc", *_lanes(1 << 30))
     print_of = F.struct("n", "lanes")
     pair = sums.groupBy("range", "row").agg(F.first("doc").alias("doc"), F.max(F.when(F.col("k") == 0, print_of)).alias("a"), F.max(F.when(F.col("k") == 1, print_of)).alias("b"))
     after = Window.partitionBy("range").orderBy("row")
@@ -127,4 +161,4 @@ def edited(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rang
     none = F.struct(F.lit(0).cast("long").alias("n"), F.array_repeat(F.lit(0).cast("long"), WORDS * 60).alias("lanes"))
     flat = pair.select("doc.id", "doc.n_chars", "doc.sha", *(F.coalesce(c, none)[x].alias(f"{c}_{x}") for c in "abc" for x in ("n", "lanes")))
     of = lambda c: (F.col(f"{c}_n"), F.col(f"{c}_lanes"))
-    return flat.select(F.col("id").alias(id_col), "n_chars", F.col("sha").alias("edited_sha256"), text_of(*of("a")).alias("fingerprint"), text_of(*of("b")).alias("edited_fingerprint"), likeness(*of("a"), *of("b")).alias("near_edited"), likeness(*of("a"), *of("c")).alias("near_next"))
+    return flat.select(F.col("id").alias(id_col), "n_chars", F.col("sha").alias("edited_sha256"), text_of(*of("a")).alias("fingerprint"), text_of(*of("b")).alias("edited_fingerprint"), likeness(*of("a"), *of("b"), wrapped=False).alias("near_edited"), likeness(*of("a"), *of("c"), wrapped=False).alias("near_next"))

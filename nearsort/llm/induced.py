@@ -41,7 +41,7 @@ def disk_array(folder: str, n: int, dtype: type) -> np.ndarray:
     out = np.memmap(name, dtype=dtype, mode="w+", shape=(n,))
     os.unlink(name)
     COUNTERS["filed"] += n
-    return out
+    return np.asarray(out)
 
 
 def _chunks(n: int) -> Iterator[slice]:

@@ -34,32 +34,40 @@ class Bayes:
     weights: np.ndarray  # (bins, languages) log probabilities
 
 
-def _groups(texts: list[str]) -> Iterator[tuple[int, list[str]]]:
+def _groups(texts: list[str]) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first row, bins, owners from 0) as grams() gives them, some texts at a time and a long text in pieces."""
     row = 0
     while row < len(texts):
         to, size = row, 0
         while to < len(texts) and (size < GROUP_CHARS or to == row):
             size += len(texts[to])
             to += 1
-        yield row, texts[row:to]
+        if size <= 2 * GROUP_CHARS:
+            yield row, *grams([" " + t.lower() + " " for t in texts[row:to]])
+        else:
+            for k in range(row, to):
+                text, most = " " + texts[k].lower() + " ", max(ORDERS) - 1
+                for at in range(0, len(text), GROUP_CHARS):  # n-grams that start in this piece
+                    piece = text[at : at + GROUP_CHARS + most]
+                    bins, _ = grams([piece], min(GROUP_CHARS, len(text) - at))
+                    yield k, bins, np.zeros(len(bins), np.int64)
         row = to
 
 
-def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """(bin of every n-gram, number of the text it is in); texts are lower-cased and padded by a space."""
-    padded = [" " + t.lower() + " " for t in texts]
+def grams(padded: list[str], starts: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(bin of every n-gram, number of the text it is in) of texts that are lower-cased and padded by a space; only n-grams at the first ``starts`` places, if given."""
     points = np.frombuffer("".join(padded).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).astype(np.uint64)
     owner = np.repeat(np.arange(len(padded)), [len(p) for p in padded])
     bins, owners = [], []
     for n in ORDERS:
         if len(points) < n:
             continue
-        m = len(points) - n + 1
+        m = len(points) - n + 1 if starts is None else min(starts, len(points) - n + 1)
         h = np.full(m, n, dtype=np.uint64)
         for k in range(n):
             h = (h ^ points[k : k + m]) * np.uint64(0x9E3779B97F4A7C15)
             h ^= h >> np.uint64(29)
-        inside = owner[:m] == owner[n - 1 :]
+        inside = owner[:m] == owner[n - 1 : n - 1 + m]
         bins.append((h[inside] >> np.uint64(20)).astype(np.int64) & (BINS - 1))
         owners.append(owner[:m][inside])
     if not bins:
@@ -87,8 +95,7 @@ def fit(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", alpha:
                     docs.append(0)
                 docs[names[lang]] += 1
             codes = np.asarray([names[x] for x in langs], dtype=np.int64)
-            for row, some in _groups(texts):
-                at, owner = grams(some)
+            for row, at, owner in _groups(texts):
                 table += np.bincount(codes[row + owner] * BINS + at, minlength=len(names) * BINS).reshape(-1, BINS)
         for lang, k in names.items():
             at = np.flatnonzero(table[k])
@@ -118,14 +125,16 @@ def score(model: Bayes, texts: list[str | None]) -> tuple[list[str], list[float]
     if not model.langs:
         return langs, values
     plain = [t or "" for t in texts]
-    for row, some in _groups(plain):
-        bins, owner = grams(some)
-        total = np.stack([np.bincount(owner, weights=model.weights[:, k][bins], minlength=len(some)) for k in range(len(model.langs))], axis=1) + model.prior
-        best = total.argmax(axis=1)
-        share = 1.0 / np.exp(total - total.max(axis=1, keepdims=True)).sum(axis=1)
-        for k, text in enumerate(some):
-            if has_letter(text):
-                langs[row + k], values[row + k] = model.langs[best[k]], float(share[k])
+    total = np.zeros((len(plain), len(model.langs))) + model.prior
+    for row, bins, owner in _groups(plain):
+        n = int(owner.max()) + 1 if len(owner) else 0
+        for k in range(len(model.langs)):
+            total[row : row + n, k] += np.bincount(owner, weights=model.weights[:, k][bins], minlength=n)
+    best = total.argmax(axis=1)
+    share = 1.0 / np.exp(total - total.max(axis=1, keepdims=True)).sum(axis=1)
+    for k, text in enumerate(plain):
+        if has_letter(text):
+            langs[k], values[k] = model.langs[best[k]], float(share[k])
     return langs, values
 
 

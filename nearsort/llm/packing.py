@@ -1,7 +1,7 @@
 """Token-id rows of fixed length by best-fit-decreasing packing.
 
 Texts become byte-pair ids, by tiktoken, where they are read; a text longer than a row is cut into segments without loss.
-Segments are dealt to shards of a fixed expected size by a hash, and every shard is packed by
+Segments are dealt to shards of a bounded expected size, in documents and in bytes, by a hash, and every shard is packed by
 itself: longest segment first, each into the open row with the least room that still fits, which a
 segment tree over the remaining capacities finds in O(log row length).
 """
@@ -22,8 +22,8 @@ from .lean import lean
 CHUNK_CHARS = 200_000
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 _encodings: dict[tuple[str, str], object] = {}
-#: Segments that a shard holds on average.
-SHARD_SEGMENTS = 8192
+#: Documents and bytes of text that a shard holds on average; segments are no more than both allow.
+SHARD_DOCS, SHARD_BYTES = 8192, 24 << 20
 
 
 def load(path: str, pattern: str):
@@ -129,7 +129,8 @@ def pack(docs: DataFrame, path: str, pattern: str, row_tokens: int = 2048, eos_i
                     out, size = ([], [], []), 0
 
     segments = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(lean(encode), f"id {kind.simpleString()}, start long, ids binary")
-    shards = max(1, -(-docs.count() // SHARD_SEGMENTS))
+    size = docs.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length(text_col)), F.lit(0)).alias("b")).first()
+    shards = max(1, -(-size.n // SHARD_DOCS), -(-size.b // SHARD_BYTES))
     segments = segments.withColumn("shard", F.pmod(F.xxhash64("id", "start", F.length("ids")), F.lit(shards)))
 
     def packed(shard: int, ids: list, start: list, data: list) -> pa.RecordBatch:

@@ -82,7 +82,7 @@ def _search(batches: Iterator[pa.RecordBatch], span: int, gram: int, shard: int)
         yield flush()
 
 
-def removed(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[int, int, str]:
+def removed(text: bytes, a: np.ndarray, b: np.ndarray, _: int) -> tuple[int, int, str]:
     data = np.frombuffer(text, dtype=np.uint8)
     start, end, _ = ts.words(data, np.asarray([0, len(data)]), ~ts.SPACE)
     keep = ~ts.cover(len(start), a, b) if len(a) else np.ones(len(start), bool)
@@ -92,7 +92,7 @@ def removed(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[int, int, str]:
 
 def repeated_intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_WINDOWS, piece: int = rec.PIECE_BYTES) -> DataFrame:
     """(id, th, a, b): word intervals that windows met before cover; they may overlap."""
-    members, groups, regions = rec.find(prepared, rec.Units("words", span, gram, piece=piece), together)
+    members, groups, regions, _ = rec.find(prepared, rec.Units("words", span, gram, piece=piece), together)
     found = regions.mapInArrow(lean(lambda x: _search(x, span, gram, shard)), "id long, th long, at long, a long, b long")
     return rec.whole_marks(members, groups, span, keep_first=True).unionByName(rec.part_marks(found))
 

@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame, functions as F
 
 from . import textscan as ts
-from .durable import cut
+from .durable import cut, store
 from .lean import lean
 
 #: Bits of a filter; its broadcast takes an eighth as many bytes whatever the input.
@@ -35,21 +35,13 @@ _NULL_ID = -(1 << 63)
 
 @dataclass(frozen=True)
 class Units:
-    """What a window counts: ``span`` words or bytes, with anchors of ``gram`` of them.
-
-    ``reach`` (at least ``span``): units from a window's start that are kept with it, so that agreement beyond the window can be seen too.
-    """
+    """What a window counts: ``span`` words or bytes, with anchors of ``gram`` of them; ``piece``: bytes of a document scanned at once."""
 
     kind: str
     span: int
     gram: int
-    reach: int = 0
     piece: int = PIECE_BYTES
 
-    @property
-    def kept(self) -> int:
-        return max(self.span, self.reach)
-
     def scan(self, column: pa.Array) -> Iterator[tuple]:
         """(first row, bytes, symbol starts, symbol ends, first symbol of each document, hashes, symbols before, windows that count).
 
@@ -64,15 +56,15 @@ class Units:
                     yield row, data, start, end, first, ts.word_rolling(ts.word_hash(data, start, end)), 0, None
                     continue
                 for at, to in _parts(len(start), self.span, self.piece // 8):
-                    last = min(len(start), to - 1 + self.kept)
+                    last = min(len(start), to - 1 + self.span)
                     s, e = start[at:last], end[at:last]
-                    yield row, data[s[0] : e[-1]], s - s[0], e - s[0], np.asarray([0, last - at]), ts.word_rolling(ts.word_hash(data[s[0] : e[-1]], s - s[0], e - s[0])), at, to - at
+                    yield row, data[s[0] : e[-1]], s - s[0], e - s[0], np.asarray([0, last - at]), ts.word_rolling(ts.word_hash(data[s[0] : e[-1]], s - s[0], e - s[0])), at, to - at if last < len(start) else None
             elif not long:
                 yield row, data, None, None, offsets, ts.byte_hash(data), 0, None
             else:
                 for at, to in _parts(len(data), self.span, self.piece):
-                    part = data[at : to - 1 + self.kept]
-                    yield row, part, None, None, np.asarray([0, len(part)]), ts.byte_hash(part), at, to - at
+                    part = data[at : to - 1 + self.span]
+                    yield row, part, None, None, np.asarray([0, len(part)]), ts.byte_hash(part), at, to - at if at + len(part) < len(data) else None
 
 
 def _parts(n: int, span: int, size: int) -> Iterator[tuple[int, int]]:
@@ -133,6 +125,10 @@ def _long(column: pa.Array) -> np.ndarray:
     return column.to_numpy(zero_copy_only=False)
 
 
+def _text_key(ids: np.ndarray, th: np.ndarray) -> np.ndarray:
+    return ts.mix(ids.view(np.uint64)) ^ th.view(np.uint64)
+
+
 def _place_key(ids: np.ndarray, th: np.ndarray, at: np.ndarray) -> np.ndarray:
     return ts.mix(ids.view(np.uint64)) ^ ts.mix(th.view(np.uint64) + at.astype(np.uint64))
 
@@ -140,69 +136,94 @@ def _place_key(ids: np.ndarray, th: np.ndarray, at: np.ndarray) -> np.ndarray:
 def _regions(b: pa.RecordBatch, units: Units):
     """Per group of documents of a batch (columns id, th, text): bytes, symbol bounds and the regions' arrays.
 
-    Of a region: anchor hash and place, first and last window, end of what is kept, then id, text hash and first window in its document.
+    Of a region: anchor hash and place, first and last window, document, then id, text hash and first window in its document.
     """
     ids, th = _long(b.column(0)), _long(b.column(1))
     for row, data, start, end, first, rolling, before, limit in units.scan(b.column(2)):
-        h, place, lo, hi, doc = ts.anchors(rolling, first, units.span, units.gram, limit)
+        h, place, lo, hi, doc = ts.anchors(rolling, first, units.span, units.gram, limit, ts.byte_order(data) if units.kind == "bytes" else None)
         if len(h):
-            stop = np.minimum(hi + units.kept, first[doc + 1])
-            yield data, start, end, rolling, h, place, lo, hi, stop, ids[row + doc], th[row + doc], lo - first[doc] + before
+            yield data, start, end, first, rolling, h, place, lo, hi, doc, ids[row + doc], th[row + doc], lo - first[doc] + before
 
 
 #: Fields of a region's place.
 PLACE = ["id", "th", "at"]
+#: Turns the hash of a probe into one that no gram has, but for a chance of 2**-64.
+_PROBE = np.uint64(0xA5A5_1234_5A5A_4321)
 
 
-def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Three tables over ``docs`` (as prepare() gives them). A region is at the place (id, th, at), at being its first window.
+def find(docs: DataFrame, units: Units, together: int = TOGETHER, probe: int = 0) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Four tables over ``docs`` (as prepare() gives them). A region is at the place (id, th, at), at being its first window.
 
-    members: (h, rh, id, th, at, n, m) all regions with an anchor that may recur: n windows, m units of content.
-    groups: (h, rh, id, th, at, n, m, many, mixed) their distinct contents with the first place of each; many: the content is at
+    members: (h, rh, id, th, at, n) all regions with an anchor that may recur: n windows.
+    groups: (h, rh, id, th, at, n, many, mixed) their distinct contents with the first place of each; many: the content is at
     two places or more; mixed: the anchor has other contents too, as many as ``mixed`` says in all.
     regions: (key, id, th, at, shift, left, gram, right, n) the text of mixed groups' first places, the anchor gram being
     replaced by a digest; keyed so that equal windows meet in one key; cut to single windows where an anchor has more
     than ``together`` contents. shift: windows before this row's first, counted from the region's first.
+    probes: (id, th, probes) with ``probe``, less than a gram (bytes only): how many of a text's sampled strings of ``probe`` bytes are anywhere else too.
     """
     sc = docs.sparkSession.sparkContext
 
     def anchor_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for _, _, _, _, h, *_ in _regions(b, units):
+            for row, data, _, _, first, rolling, before, limit in units.scan(b.column(2)):
+                order = ts.byte_order(data) if units.kind == "bytes" else None
+                h = ts.anchors(rolling, first, units.span, units.gram, limit, order)[0]
+                if probe:
+                    h = np.concatenate((h, _probe_hashes(units, probe, rolling, first, limit, order)[0]))
                 yield pa.RecordBatch.from_arrays([pa.array(ts.signed(h), pa.int64())], names=["h"])
 
     twice = docs.mapInArrow(lean(anchor_hashes), "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
     recurring = sc.broadcast(build_filter(twice, lambda b: _long(b.column(0)).view(np.uint64)))
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["h", "rh", *PLACE, "n"]
         for b in batches:
-            for _, _, _, rolling, h, _, lo, hi, stop, ids, th, at in _regions(b, units):
-                on = recurring.value.test(h)
-                rh = rolling.runs(lo[on], stop[on])
-                wide = [ts.signed(h[on]), ts.signed(rh), ids[on], th[on]]
-                yield pa.RecordBatch.from_arrays([*map(pa.array, wide), *(pa.array(x[on].astype(np.int32)) for x in (at, hi - lo + 1, stop - lo))], names=["h", "rh", *PLACE, "n", "m"])
-
-    members = docs.mapInArrow(lean(emit), "h long, rh long, id long, th long, at int, n int, m int")
+            all_ids, all_th = _long(b.column(0)), _long(b.column(1))
+            for row, data, _, _, first, rolling, before, limit in units.scan(b.column(2)):
+                order = ts.byte_order(data) if units.kind == "bytes" else None
+                h, _, lo, hi, doc = ts.anchors(rolling, first, units.span, units.gram, limit, order)
+                on = np.flatnonzero(recurring.value.test(h))
+                doc, lo, hi = doc[on], lo[on], hi[on]
+                wide = [ts.signed(h[on]), ts.signed(rolling.runs(lo, hi + units.span)), all_ids[row + doc], all_th[row + doc]]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, wide), *(pa.array(x.astype(np.int32)) for x in (lo - first[doc] + before, hi - lo + 1))], names=names)
+                if probe:
+                    h, doc, at = _probe_hashes(units, probe, rolling, first, limit, order)
+                    on = np.flatnonzero(recurring.value.test(h))
+                    ids, th, at = all_ids[row + doc[on]], all_th[row + doc[on]], at[on] + before
+                    none = pa.array(np.zeros(len(on), np.int32))
+                    yield pa.RecordBatch.from_arrays([pa.array(ts.signed(h[on])), pa.array(ts.signed(_place_key(ids, th, at))), pa.array(ids), pa.array(th), none, none], names=names)
+
+    seen = store(docs.mapInArrow(lean(emit), "h long, rh long, id long, th long, at int, n int"), "members")
+    members = seen.where("n > 0")
+    probes = seen.where("n = 0").select("h", F.col("rh").alias("place"), "id", "th")
+    twice = probes.groupBy("h").agg(F.min("place").alias("first"), F.max("place").alias("last")).where("first != last").select("h")
+    probes = probes.join(twice, "h", "left_semi").groupBy("id", "th").agg(F.count("*").alias("probes"))
     place = F.struct(*PLACE)
-    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"), F.first("m").alias("m"))
-    distinct = distinct.select("h", "rh", "first.*", "n", "m", (F.col("first") != F.col("last")).alias("many"))
+    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"))
+    distinct = distinct.select("h", "rh", "first.*", "n", (F.col("first") != F.col("last")).alias("many"))
     mixed = distinct.groupBy("h").agg(F.count("*").alias("mixed")).where("mixed > 1")
     groups = cut(distinct.join(mixed, "h", "left").where("many or mixed is not null"))
 
     wanted = groups.where("mixed is not null").select("h", "rh", *PLACE, "mixed")
+    owners = sc.broadcast(build_filter(wanted.select("id", "th"), lambda b: _text_key(*map(_long, b.columns))))
     spots = sc.broadcast(build_filter(wanted.select(*PLACE), lambda b: _place_key(*map(_long, b.columns))))
     schema = "h long, rh long, id long, th long, at int, left binary, gram binary, right binary, n int"
 
     def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for data, start, end, rolling, h, place, lo, hi, stop, ids, th, at in _regions(b, units):
+            some = owners.value.test(_text_key(_long(b.column(0)), _long(b.column(1))))
+            if not some.any():
+                continue
+            b = b.filter(pa.array(some))
+            for data, start, end, first, rolling, h, place, lo, hi, doc, ids, th, at in _regions(b, units):
                 on = np.flatnonzero(recurring.value.test(h) & spots.value.test(_place_key(ids, th, at)))
                 if not len(on):
                     continue
                 raw = data.tobytes()
-                rh = rolling.runs(lo[on], stop[on])
+                rh = rolling.runs(lo[on], hi[on] + units.span)
                 left, gram, right = [], [], []
-                for p, a, z in zip(place[on].tolist(), lo[on].tolist(), stop[on].tolist()):
+                for p, a, z in zip(place[on].tolist(), lo[on].tolist(), (hi[on] + units.span).tolist()):
                     q = p + units.gram
                     if units.kind == "words":
                         some = [raw[start[k] : end[k]] for k in range(a, z)]
@@ -231,11 +252,10 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
                     rows = []
                     x, y = (side.split(b" ") if words and side else [] if words else side for side in (left, right))
                     for k in range(n):
-                        after = units.span - units.gram - (len(x) - k)  # of the window's symbols, those behind the anchor
-                        lo, hi, beyond = x[k:], y[:after], y[: after + units.kept - units.span]
-                        lo, hi, beyond = (b" ".join(lo), b" ".join(hi), b" ".join(beyond)) if words else (lo, hi, beyond)
+                        lo, hi = x[k:], y[: units.span - units.gram - (len(x) - k)]
+                        lo, hi = (b" ".join(lo), b" ".join(hi)) if words else (lo, hi)
                         window = hashlib.blake2b(lo + b"\t" + gram + b"\t" + hi, digest_size=8).digest()
-                        rows.append((int.from_bytes(window, "little", signed=True), i, th, at, k, lo, gram, beyond, 1))
+                        rows.append((int.from_bytes(window, "little", signed=True), i, th, at, k, lo, gram, hi, 1))
                 for row in rows:
                     for o, v in zip(out, row):
                         o.append(v)
@@ -246,7 +266,16 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER) -> tuple[DataF
 
     types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int32()]
     regions = found.mapInArrow(lean(key), "key long, id long, th long, at int, shift int, left binary, gram binary, right binary, n int")
-    return members, groups, regions.repartition("key").sortWithinPartitions("key", *PLACE, "shift")
+    return members, groups, regions.repartition("key").sortWithinPartitions("key", *PLACE, "shift"), probes
+
+
+def _probe_hashes(units: Units, probe: int, rolling: ts.Rolling, first: np.ndarray, limit: int | None, order: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(hash, document, place in what was scanned of it) of the ``probe`` bytes at the anchors of windows that are shorter by as much as a probe is shorter than a gram.
+
+    So every string of ``span - gram + probe`` bytes holds one, chosen by its own bytes.
+    """
+    h, place, _, _, doc = ts.anchors(rolling, first, units.span - units.gram + probe, probe, limit, order)
+    return ts.mix(h ^ _PROBE), doc, place - first[doc]
 
 
 def merged(starts: np.ndarray, span: int) -> tuple[list[int], list[int]]:
@@ -259,12 +288,12 @@ def merged(starts: np.ndarray, span: int) -> tuple[list[int], list[int]]:
 
 
 def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fields: str) -> DataFrame:
-    """``function(text bytes, *columns of marks) -> values of fields`` for every row of ``docs`` (as named() gives them).
+    """``function(text bytes, interval starts, interval ends, n) -> values of fields`` for every row of ``docs`` (as named() gives them).
 
-    marks: id, th and bounds of intervals of symbols, passed on as one array each. Texts travel compressed.
+    marks: (id, th, a, b) intervals of symbols, and where there is a column ``n`` rows without an interval whose n are summed. Texts travel compressed.
     """
-    bounds = [c for c in marks.columns if c not in ("id", "th")]
-    each = marks.groupBy("id", "th").agg(F.collect_list(F.struct(*bounds)).alias("marks"))
+    counted = "n" in marks.columns
+    each = marks.groupBy("id", "th").agg(F.collect_list(F.when(F.col("b").isNotNull(), F.struct("a", "b"))).alias("marks"), (F.sum("n") if counted else F.lit(0).cast("long")).alias("n"))
     kind = docs.schema["original"].dataType.simpleString()
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -276,34 +305,29 @@ def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdDecompressor()
-        none = (np.zeros(0, np.int64),) * len(bounds)
+        none = (np.zeros(0, np.int64),) * 2
         for b in batches:
             rows = []
-            for z, m in zip(b.column(1), b.column(2)):
-                rows.append(function(press.decompress(z.as_py()), *([x.to_numpy() for x in m.values.flatten()] if m.is_valid else none)))
+            for z, m, n in zip(b.column(1), b.column(2), b.column(3).to_pylist()):
+                rows.append(function(press.decompress(z.as_py()), *([x.to_numpy() for x in m.values.flatten()] if m.is_valid and len(m) else none), n or 0))
             if rows:
                 yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x) for x in zip(*rows))], names=[id_col, *names])
 
     names = [x.split()[0] for x in fields.split(", ")]
     pressed = docs.mapInArrow(lean(pack), f"original {kind}, id long, th long, z binary")
-    return pressed.join(each, ["id", "th"], "left").select("original", "z", "marks").mapInArrow(lean(run), f"`{id_col}` {kind}, {fields}")
-
+    return pressed.join(each, ["id", "th"], "left").select("original", "z", "marks", "n").mapInArrow(lean(run), f"`{id_col}` {kind}, {fields}")
 
-def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool, reach: int = 0) -> DataFrame:
-    """(id, th, a, b) intervals of regions whose content is at several places; without the first place if that is to stay.
 
-    With ``reach`` also c: [a, c) is what windows of ``reach`` units cover, empty where the content is shorter.
-    """
+def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool) -> DataFrame:
+    """(id, th, a, b) intervals of regions whose content is at several places; without the first place if that is to stay."""
     many = groups.where("many").select("h", "rh", *(F.col(c).alias(f"{c}0") for c in PLACE))
     rows = members.join(many, ["h", "rh"])
     if keep_first:
         rows = rows.where("id != id0 or th != th0 or at != at0")
     a = F.col("at").cast("long")
-    deep = [(a + F.when(F.col("m") >= reach, F.col("m")).otherwise(0)).alias("c")] if reach else []
-    return rows.select("id", "th", a.alias("a"), (a + F.col("n") - 1 + span).alias("b"), *deep)
+    return rows.select("id", "th", a.alias("a"), (a + F.col("n") - 1 + span).alias("b"))
 
 
 def part_marks(found: DataFrame) -> DataFrame:
     """Intervals found inside regions: (id, th, at) and bounds relative to the region's first window."""
-    bounds = [c for c in found.columns if c not in PLACE]
-    return found.select("id", "th", *((F.col("at") + F.col(c)).alias(c) for c in bounds))
+    return found.select("id", "th", *((F.col("at") + F.col(c)).alias(c) for c in ("a", "b")))

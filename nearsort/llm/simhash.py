@@ -19,11 +19,14 @@ from pyspark.sql import DataFrame, functions as F
 from . import textscan as ts
 from .components import components
 from .durable import cut
+from .heavy import attach
 from .lean import lean
 
 BITS, RADIUS = 64, 3
 #: Members up to which a bucket is compared in one task, block by block; larger ones are linked through shared neighbours.
 BUCKET = 16_384
+#: Shingles hashed at once.
+SHINGLES = 65_536
 
 
 def masks(bits: int = BITS, radius: int = RADIUS, seed: int = 20) -> list[int]:
@@ -50,16 +53,16 @@ def _fingerprints(column: pa.Array) -> Iterator[int]:
             if b == a:
                 yield 0
                 continue
-            w = words[a:b]
-            if len(w) < 3:
-                h = [hasher(b" ".join(w), 42)]
-            else:
-                h = [hasher(x, 42) for x in map(b"%b %b %b".__mod__, zip(w, w[1:], w[2:]))]
             bits = np.zeros(64, dtype=np.int64)
-            for k in range(0, len(h), 65536):
-                some = np.asarray(h[k : k + 65536], dtype=">u8")
+            for k in range(a, max(a + 1, b - 2), SHINGLES):  # shingles that start in [k, k + SHINGLES)
+                w = words[k : min(b, k + SHINGLES + 2)]
+                if b - a < 3:
+                    h = [hasher(b" ".join(w), 42)]
+                else:
+                    h = [hasher(x, 42) for x in map(b"%b %b %b".__mod__, zip(w, w[1:], w[2:]))]
+                some = np.asarray(h, dtype=">u8")
                 bits += np.unpackbits(some.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-            yield int.from_bytes(np.packbits(2 * bits > len(h)).tobytes(), "big")
+            yield int.from_bytes(np.packbits(2 * bits > max(1, b - a - 2)).tobytes(), "big")
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -74,25 +77,20 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def _forest(fp: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """Edges that join all members linked within the radius: at most one fewer than members."""
-    parent = list(range(len(fp)))
+    """Edges that join all members linked within the radius: at most one fewer than members.
 
-    def find(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
-
-    edges = []
-    block = max(1, (1 << 20) // max(1, len(fp)))
-    for a in range(0, len(fp), block):
-        near = np.bitwise_count(fp[a : a + block, None] ^ fp[None, :]) <= radius
-        for i, j in zip(*np.nonzero(near)):
-            if a + i < j:
-                x, y = find(int(a + i)), find(int(j))
-                if x != y:
-                    parent[x] = y
-                    edges.append((int(a + i), int(j)))
+    Each member is taken up once and held against those not yet reached, in one array operation.
+    """
+    edges, left = [], np.arange(len(fp))
+    while len(left):
+        todo, left = [int(left[0])], left[1:]
+        while todo and len(left):
+            x = todo.pop()
+            near = np.bitwise_count(fp[left] ^ fp[x]) <= radius
+            found = left[near].tolist()
+            edges += [(x, y) for y in found]
+            todo += found
+            left = left[~near]
     return edges
 
 
@@ -142,11 +140,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     empty table gives an empty result; further columns are ignored.
     """
     fps = cut(fingerprints(docs, id_col, text_col))
-    distinct = fps.groupBy("fp").agg(F.min(id_col).alias("least"))
+    distinct = cut(fps.groupBy("fp").agg(F.min(id_col).alias("least"), F.count("*").alias("n")))
     roots = components(links(distinct.select("fp"), radius, bucket), "a", "b").select(F.col("node").alias("fp"), "root")
-    rooted = distinct.join(roots, "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    named = rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
-    return fps.join(named, "fp").select(id_col, F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    rooted = distinct.join(roots, "fp", "left").select("fp", "least", "n", F.coalesce("root", "fp").alias("root"))
+    named = cut(rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id", "n"))
+    return attach(fps, named, "fp", "n").select(id_col, F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:

@@ -22,8 +22,8 @@ from . import recurrence as rec, textscan as ts
 from .induced import disk_array, sort_suffixes
 from .lean import lean
 
-#: Bytes of a removed string; of a passage that is reported (51 words are longer in 99 of 100 cases); of their common anchor.
-SPAN, REPORT, GRAM = 400, 240, 128
+#: Bytes of a removed string, of its anchor, of a probe. With these lengths every string of 240 bytes holds a probe; 51 words are longer in 99 of 100 cases.
+SPAN, GRAM, PROBE = 400, 288, 128
 #: Words of a repeated passage ("over 50"), of its anchor.
 PASSAGE, PASSAGE_GRAM = 51, 36
 #: Symbols sorted at once unless one key has more.
@@ -34,12 +34,12 @@ _BLOCK = 1 << 16
 class Shard:
     """Regions laid end to end in a file as 32-bit symbols: 0 ends a region, bytes are 1 to 256, grams follow.
 
-    kind "bytes": a region's windows start at its first symbols and have ``window`` symbols; those of ``deep`` are told apart too.
+    kind "bytes": a region's windows start at its first symbols and have ``window`` symbols.
     kind "words": a window starts with a blank, so never inside a word, and has ``window`` words, the anchor being one; its length in bytes is its own.
     """
 
-    def __init__(self, kind: str, window: int, deep: int = 0):
-        self.kind, self.window, self.deep = kind, window, deep
+    def __init__(self, kind: str, window: int):
+        self.kind, self.window = kind, window
         self.folder = tempfile.TemporaryDirectory()
         self.file = open(os.path.join(self.folder.name, "text"), "wb")
         self.size, self.names = 0, {}
@@ -67,54 +67,27 @@ class Shard:
         self.bounds.append(self.size)
         self.windows.append(n)
 
-    def repeated(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """Per region, the numbers of windows that occur at another place of the shard too, and those of deep windows."""
+    def repeated(self) -> Iterator[np.ndarray]:
+        """Per region, the numbers of windows that occur at another place of the shard too."""
         self.file.close()
-        none = np.zeros(0, np.int64)
         if not self.size:
             return
-        text = np.memmap(self.file.name, dtype=np.int32, mode="r")
+        text = np.asarray(np.memmap(self.file.name, dtype=np.int32, mode="r"))
         starts, lengths = (np.frombuffer(x, np.int64) for x in (self.starts, self.lengths))
-        cap = max(self.window, self.deep) if self.kind == "bytes" else int(lengths.max())
-        order, lcp = sort_suffixes(text, cap, self.folder.name)
-        shared = self._shared(order, lcp, self._windows_at(len(text), starts))
+        order, lcp = sort_suffixes(text, self.window if self.kind == "bytes" else int(lengths.max()), self.folder.name)
+        shared = disk_array(self.folder.name, len(text), np.int32)
+        for a in range(0, len(text), _BLOCK):
+            here, after = lcp[a : a + _BLOCK], lcp[a + 1 : a + _BLOCK + 1]
+            most = np.array(here)
+            np.maximum(most[: len(after)], after, out=most[: len(after)])
+            shared[order[a : a + _BLOCK]] = most
         used = 0
-        for a, b, n in zip(self.bounds, self.bounds[1:], self.windows):
+        for a, n in zip(self.bounds, self.windows):
             if self.kind == "words":
-                yield np.flatnonzero(shared[a + starts[used : used + n]] >= lengths[used : used + n]), none
+                yield np.flatnonzero(shared[a + starts[used : used + n]] >= lengths[used : used + n])
                 used += n
             else:
-                some = np.asarray(shared[a : a + n])
-                yield np.flatnonzero(some >= self.window), np.flatnonzero(some[: max(0, b - a - self.deep)] >= self.deep) if self.deep else none
-
-    def _windows_at(self, n: int, starts: np.ndarray) -> np.ndarray:
-        """Where windows start: what is kept beyond a window may hold the same place of a text as another row."""
-        out, used = disk_array(self.folder.name, n, np.bool_), 0
-        for a, k in zip(self.bounds, self.windows):
-            if self.kind == "words":
-                out[a + starts[used : used + k]] = True
-                used += k
-            else:
-                out[a : a + k] = True
-        return out
-
-    def _shared(self, order: np.ndarray, lcp: np.ndarray, on: np.ndarray) -> np.ndarray:
-        """Of each place that is ``on``, the longest prefix it shares with any other such place: with the next or the last of them in suffix order."""
-        out, before, least = disk_array(self.folder.name, len(on), np.int32), None, 1 << 30
-        for a in range(0, len(order), _BLOCK):
-            place, length = np.asarray(order[a : a + _BLOCK]), np.asarray(lcp[a : a + _BLOCK])
-            at = np.flatnonzero(on[place])
-            if not len(at):
-                least = min(least, int(length.min()))
-                continue
-            both = np.minimum.reduceat(length[: at[-1] + 1], np.concatenate(([0], at[:-1] + 1)))
-            both[0] = 0 if before is None else min(least, int(both[0]))
-            out[place[at]] = np.maximum(both, np.append(both[1:], 0))
-            if before is not None:
-                out[before] = max(int(out[before]), int(both[0]))
-            before, rest = place[at[-1]], length[at[-1] + 1 :]
-            least = int(rest.min()) if len(rest) else 1 << 30
-        return out
+                yield np.flatnonzero(shared[a : a + n] >= self.window)
 
     def close(self) -> None:
         self.file.close()
@@ -122,24 +95,18 @@ class Shard:
 
 
 def _search(batches: Iterator[pa.RecordBatch], units: rec.Units, shard: int) -> Iterator[pa.RecordBatch]:
-    """(id, th, at, a, b) of intervals of windows that recur; with a reach also c, [a, c) being intervals of windows of that length."""
-    deep = units.reach - units.gram + 1 if units.reach > units.span else 0
-    names = ["id", "th", "at", "a", "b", *(["c"] if deep else [])]
+    """(id, th, at, a, b) of intervals of windows that recur."""
+    names = [*rec.PLACE, "a", "b"]
     now, places, key = None, array("q"), None
 
     def flush() -> Iterator[pa.RecordBatch]:
         out: list[list[int]] = [[] for _ in names]
-        for k, (some, far) in enumerate(now.repeated()):
+        for k, some in enumerate(now.repeated()):
             if not len(some):
                 continue
             i, th, at, shift = places[4 * k : 4 * k + 4]
-            a, b = rec.merged(some + shift, units.span)
-            rows = [(x, y, x) for x, y in zip(a, b)]
-            if len(far):
-                a, b = rec.merged(far + shift, units.reach)
-                rows += [(x, x, y) for x, y in zip(a, b)]
-            for row in rows:
-                for o, v in zip(out, (i, th, at, *row)):
+            for interval in zip(*rec.merged(some + shift, units.span)):
+                for o, v in zip(out, (i, th, at, *interval)):
                     o.append(v)
             if len(out[0]) > 50_000:
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=names)
@@ -153,7 +120,7 @@ def _search(batches: Iterator[pa.RecordBatch], units: rec.Units, shard: int) ->
                 yield from flush()
                 now = None
             if now is None:
-                now, places = Shard(units.kind, units.span - units.gram + 1, deep), array("q")
+                now, places = Shard(units.kind, units.span - units.gram + 1), array("q")
             key = k
             now.add(left, g, right, n)
             places.extend((i, th, at, shift))
@@ -161,41 +128,41 @@ def _search(batches: Iterator[pa.RecordBatch], units: rec.Units, shard: int) ->
         yield from flush()
 
 
-def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, kind: str = "bytes", reach: int = 0, piece: int = rec.PIECE_BYTES) -> DataFrame:
-    """(id, th, a, b): intervals of bytes (or words) covered by runs of ``span`` that start anywhere else too; they may overlap.
-
-    With a ``reach`` (bytes only) also c: [a, c) are intervals covered by runs of ``reach``; either interval of a row may be empty.
-    """
-    units = rec.Units(kind, span, gram, reach, piece)
-    members, groups, regions = rec.find(prepared, units, together)
-    found = regions.mapInArrow(lean(lambda x: _search(x, units, shard)), "id long, th long, at long, a long, b long" + (", c long" if reach > span else ""))
-    return rec.whole_marks(members, groups, span, keep_first=False, reach=reach if reach > span else 0).unionByName(rec.part_marks(found))
+def intervals(prepared: DataFrame, span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, kind: str = "bytes", piece: int = rec.PIECE_BYTES, probe: int = 0) -> tuple[DataFrame, DataFrame]:
+    """(id, th, a, b): intervals of bytes (or words) covered by runs of ``span`` that start anywhere else too; they may overlap. And the probes of recurrence.find()."""
+    units = rec.Units(kind, span, gram, piece)
+    members, groups, regions, probes = rec.find(prepared, units, together, probe)
+    found = regions.mapInArrow(lean(lambda x: _search(x, units, shard)), "id long, th long, at long, a long, b long")
+    return rec.whole_marks(members, groups, span, keep_first=False).unionByName(rec.part_marks(found)), probes
 
 
 def _kept(text: bytes, a: np.ndarray, b: np.ndarray) -> tuple[bytes, int, int]:
-    gone = ts.cover(len(text), a, b)
-    if not gone.any():
+    if not len(a):
         return text, 0, 0
+    gone = ts.cover(len(text), a, b)
     spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum())
     return np.frombuffer(text, np.uint8)[~gone].tobytes(), int(gone.sum()), spans
 
 
-def removed(text: bytes, a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[int, int, int, str, int]:
-    kept, gone, spans = _kept(text, a, c)
-    return len(text), gone, spans, hashlib.sha256(kept).hexdigest(), int(ts.cover(len(text), a, b).sum())
+def removed(text: bytes, a: np.ndarray, b: np.ndarray, n: int) -> tuple[int, int, int, str, int]:
+    kept, gone, spans = _kept(text, a, b)
+    return len(text), gone, spans, hashlib.sha256(kept).hexdigest(), n
 
 
-def remove_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, report: int = REPORT, piece: int = rec.PIECE_BYTES) -> DataFrame:
-    """n_bytes, n_removed, n_spans, kept_sha256 and n_passage_bytes of every document.
+def remove_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS, probe: int = PROBE, piece: int = rec.PIECE_BYTES) -> DataFrame:
+    """n_bytes, n_removed, n_spans, kept_sha256 and n_repeated_probes of every document.
 
     A byte goes if a string of ``span`` bytes over it also starts anywhere else, in any document or its
-    own; shorter texts lose nothing. n_passage_bytes counts bytes covered by repeated strings of ``report`` bytes, less than
-    ``span``: passages of over 50 words are reported that are too short to go. A null text is empty. Null ids are documents like any other.
+    own; shorter texts lose nothing. n_repeated_probes counts the document's probes that are anywhere else too: strings of ``probe`` bytes
+    at the anchors that windows of ``span - gram + probe`` bytes choose, so any repeated string of that length shows. It reports passages
+    that are too short to go, and takes no part in what goes. A null text is empty. Null ids are documents like any other.
     Rows that repeat an id with the same text count as one document and each get its result. An empty
     table gives an empty result; further columns are ignored.
     """
-    marks = intervals(rec.prepare(docs, id_col, text_col), report, gram, together, shard, reach=span, piece=piece)
-    return rec.apply(rec.named(docs, id_col, text_col), marks, id_col, removed, "n_bytes long, n_removed long, n_spans long, kept_sha256 string, n_passage_bytes long")
+    marks, probes = intervals(rec.prepare(docs, id_col, text_col), span, gram, together, shard, piece=piece, probe=probe)
+    none = F.lit(None).cast("long")
+    both = marks.withColumn("n", F.lit(0).cast("long")).unionByName(probes.select("id", "th", none.alias("a"), none.alias("b"), F.col("probes").alias("n")))
+    return rec.apply(rec.named(docs, id_col, text_col), both, id_col, removed, "n_bytes long, n_removed long, n_spans long, kept_sha256 string, n_repeated_probes long")
 
 
 def _without_words(text: bytes, a: np.ndarray, b: np.ndarray) -> bytes:
@@ -211,14 +178,14 @@ def _without_words(text: bytes, a: np.ndarray, b: np.ndarray) -> bytes:
 def _cut(docs: DataFrame, id_col: str, text_col: str, marks: DataFrame, kept: Callable[[bytes, np.ndarray, np.ndarray], bytes]) -> DataFrame:
     others = [c for c in docs.columns if c != text_col]
     whole = F.struct(*(F.col(c).alias(f"c{k}") for k, c in enumerate(others)), F.col(text_col).isNull().alias("blank"))
-    out = rec.apply(rec.named(docs, id_col, text_col, whole), marks, "original", lambda t, a, b: (kept(t, a, b).decode("utf-8", "ignore"),), "kept string")
+    out = rec.apply(rec.named(docs, id_col, text_col, whole), marks, "original", lambda t, a, b, _: (kept(t, a, b).decode("utf-8", "ignore"),), "kept string")
     values = {c: F.col("original")[f"c{k}"] for k, c in enumerate(others)} | {text_col: F.when(~F.col("original.blank"), F.col("kept"))}
     return out.select(*(values[c].alias(c) for c in docs.columns))
 
 
 def cut_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, gram: int = GRAM) -> DataFrame:
     """``docs`` with repeated substrings cut out of the text; other columns stay. Of a character cut in two nothing is left. A null text stays null."""
-    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram), lambda t, a, b: _kept(t, a, b)[0])
+    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram)[0], lambda t, a, b: _kept(t, a, b)[0])
 
 
 def cut_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = PASSAGE, gram: int = PASSAGE_GRAM, together: int = rec.TOGETHER, shard: int = SHARD_SYMBOLS) -> DataFrame:
@@ -226,4 +193,4 @@ def cut_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     Words are what blanks separate; blanks themselves are not compared. Other columns stay. A null text stays null.
     """
-    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram, together, shard, "words"), _without_words)
+    return _cut(docs, id_col, text_col, intervals(rec.prepare(docs, id_col, text_col), span, gram, together, shard, "words")[0], _without_words)

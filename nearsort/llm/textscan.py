@@ -75,6 +75,10 @@ class Rolling:
         back = _power(_inverse(self.base), n)
         return mix((self.prefix[k:] - self.prefix[:-k]) * back)
 
+    def grams_at(self, places: np.ndarray, k: int) -> np.ndarray:
+        back = _power(_inverse(self.base), len(self.prefix))
+        return mix((self.prefix[places + k] - self.prefix[places]) * back[places])
+
 
 def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; a null is an empty text."""
@@ -167,21 +171,41 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(behind[: n - width + 1], ahead[width - 1 : n])
 
 
-def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int, limit: int | None = None) -> tuple[np.ndarray, ...]:
+def byte_order(data: np.ndarray) -> np.ndarray:
+    """A 32-bit number for the eight bytes at each place, by which byte anchors are chosen."""
+    n = len(data) - 7
+    if n <= 0:
+        return np.zeros(0, np.uint32)
+    four = np.empty(n + 4, np.uint32)
+    for k in range(4):
+        some = four[k::4]
+        some[:] = np.frombuffer(data, np.dtype("<u4"), len(some), k)
+    x = four[:n] * np.uint32(0x9E3779B1) + four[4:] * np.uint32(0x85EBCA77)
+    x ^= x >> np.uint32(15)
+    x *= np.uint32(0xC2B2AE3D)
+    x ^= x >> np.uint32(13)
+    return x
+
+
+def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int, limit: int | None = None, order: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
     """Minimizer anchors of every window of ``span`` symbols inside a document.
 
     Equal windows choose an equal gram at an equal place, so two windows can only be equal if
     their anchors are. Returned per anchor: gram hash, gram position, first and last window start
     that chose it, document number. ``limit``: windows of the first document that count, if not all.
+    ``order``: numbers of places, from their next symbols, whose least chooses; without it the grams' hashes do.
     """
     n = len(rolling.prefix) - 1
     empty = np.zeros(0, np.int64)
     lengths = np.diff(bounds)
     if n < span or not (lengths >= span).any():
         return np.zeros(0, np.uint64), empty, empty, empty, empty
-    hashes = rolling.grams(gram)
     low = np.uint64((1 << 31) - 1)  # the same bits of a hash decide in every group, whatever its size
-    packed = (hashes & ~low) | np.arange(len(hashes), dtype=np.uint64)
+    if order is None:
+        packed = rolling.grams(gram) & ~low
+    else:
+        packed = order[: n - gram + 1].astype(np.uint64) << np.uint64(31)
+    packed |= np.arange(len(packed), dtype=np.uint64)
     chosen = (sliding_min(packed, span - gram + 1) & low).astype(np.int64)
     long = np.flatnonzero(lengths >= span)
     count = lengths[long] - span + 1
@@ -193,7 +217,7 @@ def anchors(rolling: Rolling, bounds: np.ndarray, span: int, gram: int, limit: i
     place = chosen[starts]
     new = np.flatnonzero(np.concatenate(([True], place[1:] != place[:-1])))
     last = np.concatenate((new[1:], [len(starts)])) - 1
-    return hashes[place[new]], place[new], starts[new], starts[last], doc[new]
+    return rolling.grams_at(place[new], gram), place[new], starts[new], starts[last], doc[new]
 
 
 def signed(x: np.ndarray) -> np.ndarray:

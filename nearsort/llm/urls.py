@@ -32,14 +32,33 @@ def best_rule(host: Column, path: Column, rules: tuple[tuple[str, str, str], ...
     return rule, verdict
 
 
+def absolute(target: Column, base: Column) -> Column:
+    """A link's target as a url of its own: as it is if it has a scheme, else on the base's scheme, host or folder. &amp; is undone; dots are kept as they are."""
+    target = F.regexp_replace(F.trim(target), r"(?i)&amp;|&#38;|&#x26;", "&")
+    scheme = F.regexp_extract(base, r"(?s)^(.*?:)//", 1)
+    origin = F.regexp_extract(base, r"(?s)^(.*?://[^/?#]*)", 1)
+    page = F.regexp_extract(base, r"(?s)^(.*?://[^/?#]*[^?#]*)", 1)
+    folder = F.when(page == origin, F.concat(origin, F.lit("/"))).otherwise(F.regexp_replace(page, r"[^/]*$", ""))
+    whole = (
+        F.when(target.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*:"), target)
+        .when(target.startswith("//"), F.concat(scheme, target))
+        .when(target.startswith("/"), F.concat(origin, target))
+        .when(target.startswith("?"), F.concat(page, target))
+        .when(target.startswith("#") | (target == ""), F.lit(None).cast("string"))
+        .otherwise(F.concat(folder, target))
+    )
+    return F.when((origin != "") | target.contains("://"), whole)
+
+
 def canonical_links(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """(src, dst): absolute targets of canonical links and of refresh redirects named in the html."""
+    """(src, dst): targets of canonical links and of refresh redirects named in the html, relative ones as absolute() resolves them."""
     tag = r"(?is)<link\b(?=[^>]*\brel\s*=\s*[\"']?canonical\b)[^>]*\bhref\s*=\s*[\"']?([^\"'\s>]+)"
     refresh = r"(?is)<meta\b(?=[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b)[^>]*\bcontent\s*=\s*[\"'][^\"'>]*?url\s*=\s*([^\"'\s>]+)"
     html = F.col(html_col)
     found = F.array(*(F.regexp_extract(html, x, 1) for x in (tag, refresh)))
     marked = pages.where(html.contains("anonical") | html.contains("CANONICAL") | F.lower(html).contains("refresh"))
-    return marked.select(F.col(url_col).alias("src"), F.explode(found).alias("dst")).where(F.col("dst").contains("://") & F.col("src").isNotNull())
+    links = marked.select(F.col(url_col).alias("src"), F.explode(found).alias("dst")).where("src is not null and dst <> ''")
+    return links.select("src", absolute(F.col("dst"), F.col("src")).alias("dst")).where(F.col("dst").contains("://"))
 
 
 def judge(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES, redirects: DataFrame | None = None, id_col: str = "page_id", url_col: str = "url", html_col: str | None = "html") -> DataFrame:
@@ -68,4 +87,6 @@ def judge(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES, red
     own = best_rule(host_of(F.col("node")), path_of(F.col("node")), rules)[1]
     classes = members.withColumn("own", own).groupBy("root").agg(F.max(F.col("own") == "block").alias("blocked"), F.max(F.col("own") == "allow").alias("allowed"))
     spread = classes.where("blocked and not coalesce(allowed, false)").select("root").join(members, "root").select(F.col("node").alias("url"), F.lit("block").alias("alias"))
-    return base.join(spread, "url", "left").select(id_col, "host", "path", "rule", F.coalesce("own", "alias", F.lit("allow")).alias("verdict"))
+    columns = (id_col, "host", "path", "rule", F.coalesce("own", "alias", F.lit("allow")).alias("verdict"))
+    joined = base.where("url is not null").join(spread, "url", "left").select(*columns)  # null urls would all meet in one task
+    return joined.unionByName(base.where("url is null").withColumn("alias", F.lit(None).cast("string")).select(*columns))

@@ -211,11 +211,19 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
 def _judged_by_hits(docs: DataFrame, hits: DataFrame, id_col: str, text_col: str, others: list[str]) -> DataFrame:
     """The verdicts of contamination() from the united hits of all blocks."""
-    words = F.regexp_count(F.coalesce(F.col(text_col), F.lit("")), F.lit("[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+")).cast("long")
-    rows = docs.select(id_col, *others, *_text_key(text_col), words.alias("__n")).join(hits, ["__k1", "__k2"], "left")
+    names = [id_col, *others, "__k1", "__k2"]
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = [np.diff(first) for _, _, _, _, first, _ in _scan(b.column(b.num_columns - 1), [], {})]
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(np.concatenate(n) if n else [], pa.int64())], names=[*names, "__n"])
+
+    source = docs.select(id_col, *others, *_text_key(text_col), F.col(text_col).alias("__text"))
+    kept = "".join(f"`{c}` {source.schema[c].dataType.simpleString()}, " for c in names)
+    rows = source.mapInArrow(lean(count), kept + "__n long").join(hits, ["__k1", "__k2"], "left")
     n_hit = F.when(F.col("places").isNull(), F.lit(0)).otherwise(F.size("places")).cast("long")
-    names = F.coalesce(F.array_join(F.array_sort("items"), ","), F.lit(""))
+    items = F.coalesce(F.array_join(F.array_sort("items"), ","), F.lit(""))
     return rows.select(
         id_col, *others, F.col("__n").alias("n_words"), n_hit.alias("n_hit"), F.when(F.col("items").isNull(), F.lit(0)).otherwise(F.size("items")).cast("long").alias("n_items"),
-        F.sha2(names.cast("binary"), 256).alias("items_sha256"), ((n_hit > 0) & (20 * n_hit >= F.col("__n"))).alias("contaminated"),
+        F.sha2(items.cast("binary"), 256).alias("items_sha256"), ((n_hit > 0) & (20 * n_hit >= F.col("__n"))).alias("contaminated"),
     )

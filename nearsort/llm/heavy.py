@@ -8,8 +8,8 @@ from pyspark.sql import DataFrame, functions as F
 SLOTS = 1000
 
 
-def attach(rows: DataFrame, table: DataFrame, key: str, count: str, slots: int = SLOTS) -> DataFrame:
-    """``rows`` joined with ``table``, which has one row for each of their keys and in ``count`` the rows that have it.
+def attach(rows: DataFrame, table: DataFrame, key: str | list[str], count: str, slots: int = SLOTS) -> DataFrame:
+    """``rows`` joined with ``table``, which has one row for each key that is wanted and in ``count`` the rows that have it.
 
     Heavy keys, at most ``slots``, are broadcast, so that their rows are not brought together; all others are joined by a shuffle.
     ``table`` and ``rows`` should be cheap to read twice. Null keys match nothing.

@@ -22,6 +22,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from . import textscan as ts
 from .durable import cut, store
+from .heavy import attach
 from .lean import lean
 
 #: Bits of a filter; its broadcast takes an eighth as many bytes whatever the input.
@@ -155,8 +156,8 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER, probe: int = 0
     """Four tables over ``docs`` (as prepare() gives them). A region is at the place (id, th, at), at being its first window.
 
     members: (h, rh, id, th, at, n) all regions with an anchor that may recur: n windows.
-    groups: (h, rh, id, th, at, n, many, mixed) their distinct contents with the first place of each; many: the content is at
-    two places or more; mixed: the anchor has other contents too, as many as ``mixed`` says in all.
+    groups: (h, rh, id, th, at, n, rows, many, mixed) their distinct contents with the first place of each, of as many places as ``rows``;
+    many: the content is at two places or more; mixed: the anchor has other contents too, as many as ``mixed`` says in all.
     regions: (key, id, th, at, shift, left, gram, right, n) the text of mixed groups' first places, the anchor gram being
     replaced by a digest; keyed so that equal windows meet in one key; cut to single windows where an anchor has more
     than ``together`` contents. shift: windows before this row's first, counted from the region's first.
@@ -197,11 +198,13 @@ def find(docs: DataFrame, units: Units, together: int = TOGETHER, probe: int = 0
     seen = store(docs.mapInArrow(lean(emit), "h long, rh long, id long, th long, at int, n int"), "members")
     members = seen.where("n > 0")
     probes = seen.where("n = 0").select("h", F.col("rh").alias("place"), "id", "th")
-    twice = probes.groupBy("h").agg(F.min("place").alias("first"), F.max("place").alias("last")).where("first != last").select("h")
-    probes = probes.join(twice, "h", "left_semi").groupBy("id", "th").agg(F.count("*").alias("probes"))
+    if probe:
+        twice = probes.groupBy("h").agg(F.min("place").alias("first"), F.max("place").alias("last"), F.count("*").alias("rows"))
+        probes = attach(probes, cut(twice.where("first != last").select("h", "rows")), "h", "rows")
+    probes = probes.groupBy("id", "th").agg(F.count("*").alias("probes"))
     place = F.struct(*PLACE)
-    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"))
-    distinct = distinct.select("h", "rh", "first.*", "n", (F.col("first") != F.col("last")).alias("many"))
+    distinct = members.groupBy("h", "rh").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.first("n").alias("n"), F.count("*").alias("rows"))
+    distinct = distinct.select("h", "rh", "first.*", "n", "rows", (F.col("first") != F.col("last")).alias("many"))
     mixed = distinct.groupBy("h").agg(F.count("*").alias("mixed")).where("mixed > 1")
     groups = cut(distinct.join(mixed, "h", "left").where("many or mixed is not null"))
 
@@ -320,8 +323,8 @@ def apply(docs: DataFrame, marks: DataFrame, id_col: str, function: Callable, fi
 
 def whole_marks(members: DataFrame, groups: DataFrame, span: int, keep_first: bool) -> DataFrame:
     """(id, th, a, b) intervals of regions whose content is at several places; without the first place if that is to stay."""
-    many = groups.where("many").select("h", "rh", *(F.col(c).alias(f"{c}0") for c in PLACE))
-    rows = members.join(many, ["h", "rh"])
+    many = groups.where("many").select("h", "rh", "rows", *(F.col(c).alias(f"{c}0") for c in PLACE))
+    rows = attach(members, many, ["h", "rh"], "rows")
     if keep_first:
         rows = rows.where("id != id0 or th != th0 or at != at0")
     a = F.col("at").cast("long")

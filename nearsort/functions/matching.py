@@ -6,6 +6,7 @@ from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from typing import Protocol
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
@@ -32,8 +33,22 @@ def bounded_edit(a: Column, b: Column, least: float) -> Column:
 def trigrams(c: Column, padded: bool = False) -> Column:
     """Distinct 3-grams; none for fewer than three characters."""
     c = F.concat(F.lit("  "), c, F.lit("  ")) if padded else c
-    last = F.greatest(F.lit(1), F.char_length(c) - 2)
-    return F.when(F.char_length(c) < 3, F.array().cast("array<string>")).otherwise(F.array_distinct(F.transform(F.sequence(F.lit(1), last), lambda i: F.substring(c, i, F.lit(3)))))
+    return _grams(c, F.split(c, ""), F.concat, "string")
+
+
+def gram_codes(c: Column, padded: bool = False) -> Column:
+    """Distinct 3-grams as numbers, 21 bits a character: equal codes are equal grams, and sets of numbers meet faster than sets of strings."""
+    c = F.concat(F.lit("  "), c, F.lit("  ")) if padded else c
+    points = F.transform(F.split(c, ""), lambda x: F.ascii(x).cast("long"))
+    return _grams(c, points, lambda x, y: F.shiftleft(x, 21) + y, "long")
+
+
+def _grams(c: Column, chars: Column, join: Callable[[Column, Column], Column], kind: str) -> Column:
+    """Characters are zipped with those behind them: a substring at each place would count from the start again."""
+    n = F.char_length(c)
+    behind = lambda k: F.slice(chars, F.lit(k + 1), F.greatest(n - k, F.lit(0)))
+    three = F.zip_with(F.zip_with(chars, behind(1), join), behind(2), join)
+    return F.when(n < 3, F.array().cast(f"array<{kind}>")).otherwise(F.array_distinct(F.slice(three, F.lit(1), F.greatest(n - 2, F.lit(0)))))
 
 
 def gram_similarity(a: Column, b: Column, a_text: Column, b_text: Column, kind: str = "dice") -> Column:
@@ -46,7 +61,37 @@ def gram_similarity(a: Column, b: Column, a_text: Column, b_text: Column, kind:
 
 
 def trigram_similarity(a: Column, b: Column, kind: str = "dice", padded: bool = False) -> Column:
-    return gram_similarity(trigrams(a, padded), trigrams(b, padded), a, b, kind)
+    return gram_similarity(gram_codes(a, padded), gram_codes(b, padded), a, b, kind)
+
+
+def text_gram_similarity(a: Column, b: Column) -> Column:
+    """Dice overlap of the 3-grams of two whole texts, as trigram_similarity gives it. A null: 0.
+
+    Arrow batches and sorted numbers: the same by array functions, which Spark interprets element by element, takes some ten times as long on texts of
+    thousands of characters. A text that is in several pairs of a batch is taken apart once.
+    """
+
+    @F.pandas_udf("double")
+    def overlap(left: pd.Series, right: pd.Series) -> pd.Series:
+        known: dict[str, np.ndarray] = {}
+
+        def codes(text: str) -> np.ndarray:
+            if text not in known:
+                c = np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64)
+                known[text] = np.unique(c[:-2] << np.uint64(42) | c[1:-1] << np.uint64(21) | c[2:])
+            return known[text]
+
+        def one(x: str | None, y: str | None) -> float:
+            if x is None or y is None:
+                return 0.0
+            if x == y or len(x) < 3 or len(y) < 3:
+                return float(x == y)
+            p, q = codes(x), codes(y)
+            return 2.0 * len(np.intersect1d(p, q, assume_unique=True)) / (len(p) + len(q))
+
+        return pd.Series([one(x, y) for x, y in zip(left, right)], dtype="float64")
+
+    return overlap.asNondeterministic()(a, b)  # so that a filter on the score doesn't run it a second time
 
 
 def combine(parts: list[tuple[Column, float]]) -> Column:
@@ -89,13 +134,13 @@ def cosine(a: Column, b: Column) -> Column:
     return F.coalesce(F.try_divide(dot, norm(a) * norm(b)), F.lit(0.0))
 
 
-def prepare(entities: DataFrame, title: str = "title", abstract: str = "abstract") -> DataFrame:
-    """Per-row features, once before pairing: the folded title and the abstract's grams."""
-    return entities.withColumns({"title_ascii": ascii_fold(F.coalesce(F.col(title), F.lit(""))), "grams": trigrams(F.coalesce(F.col(abstract), F.lit("")))})
+def prepare(entities: DataFrame, title: str = "title") -> DataFrame:
+    """Per-row features, once before pairing: the folded title."""
+    return entities.withColumn("title_ascii", ascii_fold(F.coalesce(F.col(title), F.lit(""))))
 
 
 class Matcher(Protocol):
-    """Anything that keeps the matching rows of a pair table and adds ``score``."""
+    """Anything that keeps the matching rows of a pair table and adds ``score``. Matchers of two stages have ``narrow`` too, which keeps the pairs that may match."""
 
     def __call__(self, pairs: DataFrame) -> DataFrame: ...
 
@@ -109,12 +154,19 @@ class TitleAbstract:
     least: float = 0.75
     skip: bool = True
 
+    def narrow(self, pairs: DataFrame) -> DataFrame:
+        """The titles' similarity as s1; with ``skip`` only pairs that the abstracts can still lift over the threshold."""
+        a, b = F.col("left_title_ascii"), F.col("right_title_ascii")
+        if not self.skip:
+            return pairs.withColumn("s1", edit_similarity(a, b))
+        need = max(0.0, (self.least - self.w2) / self.w1)
+        return pairs.withColumn("s1", bounded_edit(a, b, need)).where(F.col("s1") * self.w1 + self.w2 >= self.least)
+
     def __call__(self, pairs: DataFrame) -> DataFrame:
-        need = (self.least - self.w2) / self.w1
-        s1 = bounded_edit(F.col("left_title_ascii"), F.col("right_title_ascii"), max(0.0, need)) if self.skip else edit_similarity(F.col("left_title_ascii"), F.col("right_title_ascii"))
-        s2 = gram_similarity(F.col("left_grams"), F.col("right_grams"), F.col("left_abstract"), F.col("right_abstract"))
-        score = short_circuit(F.col("s1"), s2, self.w1, self.w2, self.least) if self.skip else F.col("s1") * self.w1 + s2 * self.w2
-        return pairs.withColumn("s1", s1).withColumn("score", score).where(threshold(F.col("score"), self.least)).drop("s1")
+        if "s1" not in pairs.columns:
+            pairs = self.narrow(pairs)
+        pairs = pairs.withColumn("s2", text_gram_similarity(F.coalesce(F.col("left_abstract"), F.lit("")), F.coalesce(F.col("right_abstract"), F.lit(""))))
+        return pairs.withColumn("score", F.col("s1") * self.w1 + F.col("s2") * self.w2).where(threshold(F.col("score"), self.least)).drop("s1", "s2")
 
 
 def pandas_matcher(function: Callable[[pd.DataFrame], pd.Series], least: float) -> Matcher:

@@ -35,10 +35,27 @@ def rank_global(ranked: DataFrame, offsets: DataFrame) -> DataFrame:
     return ranked.join(F.broadcast(offsets), "p").withColumns({"g": F.col("off") + F.col("rn"), "rn_desc": F.col("rows") - F.col("rn") + 1})
 
 
-def ordered(entities: DataFrame, partitioner: Partitioner) -> DataFrame:
-    """Everything above: p, rn, rows, off, g, rn_desc."""
-    tagged = tag(entities, partitioner)
-    return rank_global(rank_local(place(tagged, partitioner.parts)), partition_offsets(tagged))
+def known(offsets: DataFrame) -> DataFrame:
+    """The offsets, one row a partition, held by the plan itself, so that nothing behind them is run again."""
+    return offsets.sparkSession.createDataFrame(offsets.collect(), offsets.schema)
+
+
+def offsets_of(entities: DataFrame, partitioner: Partitioner) -> DataFrame:
+    """known() offsets from a scan of the keys alone."""
+    return known(partition_offsets(tag(entities.select("k"), partitioner)))
+
+
+def ordered(entities: DataFrame, partitioner: Partitioner, offsets: DataFrame | None = None) -> DataFrame:
+    """Everything above: p, rn, rows, off, g, rn_desc. Plans that use it more than once share its one wide exchange."""
+    placed = place(tag(entities, partitioner), partitioner.parts)
+    return rank_global(rank_local(placed), offsets_of(entities, partitioner) if offsets is None else offsets)
+
+
+def persist_layout(entities: DataFrame, partitioner: Partitioner) -> tuple[DataFrame, DataFrame]:
+    """(ordered rows, offsets) with the ranked rows written to shared storage, for work that goes on over several jobs."""
+    ranked = cut(rank_local(place(tag(entities, partitioner), partitioner.parts)))
+    offsets = known(partition_offsets(ranked))
+    return rank_global(ranked, offsets), offsets
 
 
 def composite_range(entities: DataFrame, parts: int) -> DataFrame:
@@ -48,4 +65,4 @@ def composite_range(entities: DataFrame, parts: int) -> DataFrame:
 
 def ordered_by_range(entities: DataFrame, parts: int) -> DataFrame:
     tagged = composite_range(entities, parts)
-    return rank_global(rank_local(tagged), partition_offsets(tagged))
+    return rank_global(rank_local(tagged), known(partition_offsets(tagged)))

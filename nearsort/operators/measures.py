@@ -5,6 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from ..functions import matching
@@ -30,8 +31,7 @@ def missed_pairs(sizes: list[int], w: int, closed: bool = False) -> float:
 
 def boundary_volume(entities: DataFrame, w: int, partitioner: Partitioner) -> DataFrame:
     """(rows, bound): what the second job reads, and 2 (r - 1) (w - 1)."""
-    offsets = layout.partition_offsets(layout.tag(entities, partitioner))
-    rows = methods.boundary_rows(layout.ordered(entities, partitioner), offsets, w)
+    rows = methods.boundary_rows(*layout.persist_layout(entities, partitioner), w)
     return rows.agg(F.count("*").alias("rows")).withColumn("bound", F.lit(2 * (partitioner.parts - 1) * (w - 1)).cast("long"))
 
 
@@ -54,6 +54,18 @@ def gini(sizes: DataFrame, parts: int) -> DataFrame:
     return total.select(F.round(F.try_divide(2 * F.col("a"), parts * F.col("b")) - (parts + 1) / F.lit(parts), 6).alias("gini"))
 
 
+def gini_by_udaf(sizes: DataFrame, parts: int) -> DataFrame:
+    """The same by a pandas aggregate function; all sizes meet in one task, so it is for comparison only."""
+
+    @F.pandas_udf("double")
+    def coefficient(y: pd.Series) -> float:
+        y = y.sort_values().to_numpy("float64")
+        return float(2 * (range(1, len(y) + 1) * y).sum() / (len(y) * y.sum()) - (len(y) + 1) / len(y)) if y.sum() else None
+
+    every = sizes.sparkSession.range(parts).select(F.col("id").cast("int").alias("p"))
+    return every.join(F.broadcast(sizes), "p", "left").agg(F.round(coefficient(F.coalesce("rows", F.lit(0)).cast("double")), 6).alias("gini"))
+
+
 def partition_profile(sizes: DataFrame) -> DataFrame:
     last = F.max_by("rows", "p")
     return sizes.agg(F.count("*").alias("partitions"), F.sum("rows").alias("rows"), F.max("rows").alias("largest"), F.round(F.max("rows") / F.sum("rows"), 6).alias("largest_share"), F.round(last / F.sum("rows"), 6).alias("last_share"))
@@ -109,7 +121,8 @@ def pair_completeness(found: DataFrame, truth: DataFrame) -> DataFrame:
     return hit.agg(F.count("*").alias("found")).crossJoin(truth.agg(F.count("*").alias("existing")))
 
 
-def reduction_ratio(found: DataFrame, n: int) -> Column:
+def reduction_ratio(n: int) -> Column:
+    """An aggregate over pairs of n rows: the share of all pairs that needn't be compared."""
     return F.lit(1.0) - F.count("*") / F.lit(max(1.0, n * (n - 1) / 2))
 
 

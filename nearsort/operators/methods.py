@@ -7,17 +7,21 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from . import layout, pairs
 from .partitioners import Partitioner
 
-_ENGINES = {"frame": pairs.frame, "lag": pairs.lag}
+def _bucket(rows: DataFrame, w: int, cols: tuple[str, ...] = ("id",)) -> DataFrame:
+    """Rank buckets inside each partition."""
+    rank = F.row_number().over(Window.partitionBy("p").orderBy("k", "id"))
+    return pairs.bucket(rows if "g" in rows.columns else rows.withColumn("g", rank), w, cols, group="p")
+
+
+_ENGINES = {"frame": pairs.frame, "lag": pairs.lag, "bucket": _bucket}
 
 
 def _engine(name: str):
     return _ENGINES[name]
 
 
-def sequential_pairs(entities: DataFrame, w: int, cols: tuple[str, ...] = ("id",), max_rows: int | None = 5_000_000) -> DataFrame:
-    """One ordered pass in a single task: the meaning that all other window methods must reproduce."""
-    if max_rows is not None and entities.count() > max_rows:
-        raise ValueError(f"more than {max_rows} rows in one task; use stitch, replica or rank_bucket")
+def sequential_pairs(entities: DataFrame, w: int, cols: tuple[str, ...] = ("id",)) -> DataFrame:
+    """One ordered pass in a single task, sorted on disk if need be: the meaning that all other window methods must reproduce."""
     return pairs.frame(entities.withColumn("one", F.lit(0)), w, group="one", cols=cols)
 
 
@@ -60,12 +64,20 @@ def seam_pairs(boundary: DataFrame, w: int, cols: tuple[str, ...] = ("id",), par
 
 
 def stitch_pairs(entities: DataFrame, w: int, partitioner: Partitioner, completeness: str = "exact", cols: tuple[str, ...] = ("id",), parallelism: int | None = None, engine: str = "frame") -> DataFrame:
-    """Windows in partitions, and a second small pass over the rows around seams."""
-    tagged = layout.tag(entities, partitioner)
-    offsets = layout.partition_offsets(tagged)
-    ordered = layout.rank_global(layout.rank_local(layout.place(tagged, partitioner.parts)), offsets)
-    inside = _engine(engine)(layout.place(tagged, partitioner.parts), w, cols=cols)
-    return inside.unionByName(seam_pairs(boundary_rows(ordered, offsets, w, completeness), w, cols, parallelism))
+    """Windows in partitions, and a second small pass over the rows around seams. Both read the one wide exchange."""
+    rows = entities.select(*dict.fromkeys(("id", "k", *cols)))
+    offsets = layout.offsets_of(entities, partitioner)
+    ordered = layout.ordered(rows, partitioner, offsets)
+    inside = _engine(engine)(layout.place(layout.tag(rows, partitioner), partitioner.parts), w, cols=cols)
+    return union_sorted(inside, seam_pairs(boundary_rows(ordered, offsets, w, completeness), w, cols, parallelism))
+
+
+def union_sorted(*found: DataFrame, order: tuple[str, ...] = ()) -> DataFrame:
+    """Several results as one, in the order of ``order`` if any is asked for."""
+    out = found[0]
+    for x in found[1:]:
+        out = out.unionByName(x)
+    return out.orderBy(*order) if order else out
 
 
 def replica_rows(entities: DataFrame, w: int, partitioner: Partitioner, scope: str = "partition", mapper: str | Column = "mapper_id") -> DataFrame:
@@ -76,21 +88,33 @@ def replica_rows(entities: DataFrame, w: int, partitioner: Partitioner, scope: s
     return tagged.withColumn("n", top).where(F.col("n") <= w - 1).drop("n").withColumn("target", F.col("p") + 1)
 
 
-def replica_pairs(entities: DataFrame, w: int, partitioner: Partitioner, completeness: str = "exact", scope: str = "partition", mapper: str = "mapper_id", cols: tuple[str, ...] = ("id",)) -> DataFrame:
-    """One wide pass: the last w - 1 rows before a partition are copied in front of it; a pair counts where its right row is no copy."""
-    tagged = layout.tag(entities, partitioner)
+def replica_pairs(entities: DataFrame, w: int, partitioner: Partitioner, completeness: str = "exact", scope: str = "partition", mapper: str = "mapper_id", cols: tuple[str, ...] = ("id",), engine: str = "frame") -> DataFrame:
+    """One wide pass: the last w - 1 rows before a partition are copied in front of it; a pair counts where its right row is no copy.
+
+    Exact completeness takes each partition's last w - 1 rows (a partial limit before the shuffle) and ranks them from the offsets, so
+    the rows as a whole are moved and sorted once.
+    """
+    extra = [mapper] if completeness != "exact" and scope == "map" else []
+    tagged = layout.tag(entities.select(*dict.fromkeys(("id", "k", *cols, *extra))), partitioner)
     if completeness == "exact":
-        offsets = layout.partition_offsets(tagged)
-        ordered = layout.rank_global(layout.rank_local(layout.place(tagged, partitioner.parts)), offsets)
-        copies = _near_seams(ordered.where(F.col("rn_desc") <= w - 1), offsets, w, 0).select(*tagged.columns, F.col("seam").alias("target"))
+        offsets = layout.offsets_of(entities, partitioner)
+        top = F.row_number().over(Window.partitionBy("p").orderBy(F.col("k").desc(), F.col("id").desc()))
+        tails = tagged.withColumn("rn_desc", top).where(F.col("rn_desc") <= w - 1).join(F.broadcast(offsets), "p")
+        tails = tails.withColumn("g", F.col("off") + F.col("rows") - F.col("rn_desc") + 1)
+        copies = _near_seams(tails, offsets, w, 0).select(*tagged.columns, F.col("seam").alias("target"))
     else:
-        copies = replica_rows(entities, w, partitioner, scope, mapper)
+        copies = replica_rows(entities, w, partitioner, scope, mapper).select(*tagged.columns, "target")
         if scope == "map":  # of what the map tasks sent, the greatest w - 1
             top = F.row_number().over(Window.partitionBy("target").orderBy(F.col("k").desc(), F.col("id").desc()))
             copies = copies.withColumn("n", top).where(F.col("n") <= w - 1).drop("n")
     both = tagged.withColumn("target", F.col("p")).withColumn("is_copy", F.lit(False)).unionByName(copies.withColumn("is_copy", F.lit(True)))
     placed = both.repartitionById(partitioner.parts, F.col("target"))
-    got = pairs.frame(placed, w, group="target", order=("k", "id"), cols=(*dict.fromkeys((*cols, "is_copy")),))
+    some = (*dict.fromkeys((*cols, "is_copy")),)
+    if engine == "bucket":
+        rank = F.row_number().over(Window.partitionBy("target").orderBy("k", "id"))
+        got = pairs.bucket(placed.withColumn("g", rank), w, some, group="target")
+    else:
+        got = pairs.frame(placed, w, group="target", order=("k", "id"), cols=some)
     return got.where("not right_is_copy").drop("left_is_copy", "right_is_copy")
 
 
@@ -128,12 +152,15 @@ def link_pairs(one: DataFrame, other: DataFrame, w: int, parts: int = 10) -> Dat
     return got.select(first.alias("left_id"), second.alias("right_id"), "distance")
 
 
-def cross_pairs(entities: DataFrame, max_rows: int = 5_000) -> DataFrame:
-    """All pairs: the baseline without blocking, refused beyond ``max_rows``."""
-    if entities.count() > max_rows:
-        raise ValueError(f"all pairs of more than {max_rows} rows")
-    a, b = entities.select(F.col("id").alias("left_id")), entities.select(F.col("id").alias("right_id"))
-    return a.join(b, F.col("left_id") < F.col("right_id"))
+def cross_pairs(entities: DataFrame, tile: int = 1000) -> DataFrame:
+    """All pairs: the baseline without blocking. Rows are dealt to tiles by their rank and tile pairs are joined, so no task holds or sends all rows."""
+    ranked = layout.ordered_by_range(entities.select("id", "k"), 8)
+    t = F.floor((F.col("g") - 1) / tile)
+    last = F.lit((ranked.count() - 1) // tile)
+    left = ranked.select(F.col("id").alias("left"), t.alias("a"), F.explode(F.sequence(t, last)).alias("b"))
+    right = ranked.select(F.col("id").alias("right"), t.alias("b"), F.explode(F.sequence(F.lit(0).cast("long"), t)).alias("a"))
+    both = left.join(right, ["a", "b"]).where((F.col("a") < F.col("b")) | (F.col("left") < F.col("right")))
+    return both.select(F.least("left", "right").alias("left_id"), F.greatest("left", "right").alias("right_id"))
 
 
 def block_pairs(entities: DataFrame, tile: int | None = None) -> DataFrame:

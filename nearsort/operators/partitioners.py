@@ -7,8 +7,10 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-#: Different keys up to which one task may sum the key histogram.
-MAX_HISTOGRAM = 1_000_000
+from ..plans.durable import cut
+
+#: Different keys up to which the driver sums the histogram; beyond it, key ranges are summed where they lie.
+MAX_HISTOGRAM = 100_000
 
 
 @dataclass(frozen=True)
@@ -35,24 +37,42 @@ def key_histogram(entities: DataFrame) -> DataFrame:
     return entities.groupBy("k").agg(F.count("*").alias("rows"))
 
 
-def balanced_partitioner(entities: DataFrame, r: int = 10) -> Partitioner:
-    """Near-equal blocks of whole keys: a key goes where the middle of its rows lies. Only r - 1 cut keys reach the driver."""
+def balanced_partitioner(entities: DataFrame, r: int = 10, near: int = MAX_HISTOGRAM) -> Partitioner:
+    """Near-equal blocks of whole keys: a key goes where the middle of its rows lies. A key stays whole however heavy it is (see layout.composite_range)."""
     hist = key_histogram(entities)
-    if hist.count() > MAX_HISTOGRAM:
-        raise ValueError("too many different keys for a histogram in one task; use composite_range")
-    w = Window.partitionBy(F.lit(0)).orderBy("k")
-    placed = hist.select("k", (F.sum("rows").over(w) - F.col("rows")).alias("below"), "rows", F.sum("rows").over(Window.partitionBy(F.lit(0))).alias("n"))
-    p = F.floor((2 * F.col("below") + F.col("rows")) * r / (2 * F.col("n")))
-    firsts = placed.select("k", p.alias("p")).groupBy("p").agg(F.min("k").alias("k")).orderBy("p").collect()
+    some = hist.limit(near + 1).agg(F.collect_list(F.struct("k", "rows")).alias("all")).first()["all"]
+    if len(some) <= near:
+        some = sorted(some, key=lambda x: (x.k is not None, x.k))
+        n, below, firsts = sum(x.rows for x in some), 0, {}
+        for x in some:
+            firsts.setdefault((2 * below + x.rows) * r // (2 * n), x.k)
+            below += x.rows
+    else:
+        firsts = _far_firsts(hist, r)
     cuts = []
     for i in range(1, r):
-        later = [row.k for row in firsts if row.p >= i]
+        later = [k for p, k in sorted(firsts.items()) if p >= i]
         if later:
-            cuts.append(min(later))
+            cuts.append(later[0])
     own = cut_partitioner(cuts, side="left")
     return Partitioner(r, own.column)
 
 
+def _far_firsts(hist: DataFrame, r: int) -> dict:
+    """First key of each block, from prefix sums inside key ranges and one sum a range on the driver."""
+    ranged = cut(hist.repartitionByRange("k").withColumn("part", F.spark_partition_id()))
+    sums = sorted(ranged.groupBy("part").agg(F.sum("rows").alias("rows")).collect())
+    offsets, n = [], 0
+    for x in sums:
+        offsets.append((x.part, n))
+        n += x.rows
+    before = Window.partitionBy("part").orderBy("k").rowsBetween(Window.unboundedPreceding, -1)
+    table = hist.sparkSession.createDataFrame(offsets, "part int, off long")
+    placed = ranged.join(F.broadcast(table), "part").select("k", "rows", (F.col("off") + F.coalesce(F.sum("rows").over(before), F.lit(0))).alias("below"))
+    p = F.floor((2 * F.col("below") + F.col("rows")) * r / F.lit(2 * n))
+    return {x.p: x.k for x in placed.select("k", p.alias("p")).groupBy("p").agg(F.min("k").alias("k")).collect()}
+
+
 def key_ordinal(k: Column) -> Column:
     """Place of the first two characters in a key space of 28 x 28, letters being 1..26; beyond letters the second does not count."""
     clamp = lambda c: F.greatest(F.lit(0), F.least(F.lit(27), F.ascii(c) - 96))

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from .functions import keys, matching
 from .operators import components, layout, measures, methods, pairs, partitioners as parts, relational as rel
 from .plans import sqlsurface
+from .plans.durable import cut
 from .plans.resolve import SnConfig, resolve
 from .sources import tables
 from .streaming import events as streams
@@ -97,14 +98,14 @@ for _scope in ("map", "partition"):
 def _boundary(s: SparkSession, d: str) -> DataFrame:
     e = _e(s, d)
     part = _part(e)
-    return methods.boundary_rows(layout.ordered(e, part), layout.partition_offsets(layout.tag(e, part)), 10).select("id", "k", "p", "seam")
+    return methods.boundary_rows(*layout.persist_layout(e, part), 10).select("id", "k", "p", "seam")
 
 
 @_add("sn_stitch_seam_pairs_w10", _full(10, WITH_Q, "a.p <> b.p", "q"))
 def _seams(s: SparkSession, d: str) -> DataFrame:
     e = _e(s, d)
     part = _part(e)
-    return methods.seam_pairs(methods.boundary_rows(layout.ordered(e, part), layout.partition_offsets(layout.tag(e, part)), 10), 10)
+    return methods.seam_pairs(methods.boundary_rows(*layout.persist_layout(e, part), 10), 10)
 
 
 _COPIES = f"{WITH_Q}, c AS (SELECT id, k, p, row_number() OVER (PARTITION BY id % 4, p ORDER BY k DESC, id DESC) AS n FROM q WHERE p < 9)"
@@ -168,9 +169,9 @@ def _link(s: SparkSession, d: str) -> DataFrame:
 # ---- baselines ------------------------------------------------------------------------------
 
 
-@_add("er_cross", f"WITH {E} SELECT a.id AS left_id, b.id AS right_id FROM e a JOIN e b ON a.id < b.id WHERE a.k < 'b' AND b.k < 'b'")
+@_add("er_cross", "SELECT a.doc_id AS left_id, b.doc_id AS right_id FROM documents a JOIN documents b ON a.doc_id < b.doc_id")
 def _cross(s: SparkSession, d: str) -> DataFrame:
-    return methods.cross_pairs(_e(s, d).where("k < 'b'"))
+    return methods.cross_pairs(_e(s, d))
 
 
 _BLOCKS = f"WITH {E} SELECT a.id AS left_id, b.id AS right_id FROM e a JOIN e b ON a.k = b.k AND a.id < b.id"
@@ -185,21 +186,26 @@ SELECT (SELECT count(*) FROM x) AS rows, count(*) AS raw_pairs, count(DISTINCT (
 
 # ---- matching -------------------------------------------------------------------------------
 
-FEATURES = ("title_ascii", "abstract", "grams")
-_MATCH = f"""WITH e AS (SELECT doc_id AS id, lower(substring(coalesce(text, ''), 1, 2)) AS k, regexp_replace(substring(coalesce(text, ''), 1, 60), '[^\\x00-\\x7F]', '?', 'g') AS t, substring(coalesce(text, ''), 61, 500) AS ab FROM documents),
-r AS (SELECT *, list_distinct(list_transform(range(1, length(ab) - 1), lambda i: substring(ab, i, 3))) AS gr, row_number() OVER (ORDER BY k, id) AS g FROM e),
-c AS (SELECT a.id AS left_id, b.id AS right_id, CASE WHEN greatest(length(a.t), length(b.t)) = 0 THEN 1.0::DOUBLE ELSE 1.0::DOUBLE - levenshtein(a.t, b.t)::DOUBLE / greatest(length(a.t), length(b.t)) END AS s1,
-CASE WHEN length(a.ab) < 3 OR length(b.ab) < 3 THEN CASE WHEN a.ab = b.ab THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END ELSE 2.0::DOUBLE * len(list_intersect(a.gr, b.gr)) / (len(a.gr) + len(b.gr)) END AS s2
-FROM r a JOIN r b ON b.g BETWEEN a.g + 1 AND a.g + 9)"""
+EARLY, LATE = ("title_ascii",), ("abstract",)
+_MATCH = f"""WITH e AS (SELECT doc_id AS id, lower(substring(coalesce(text, ''), 1, 2)) AS k, regexp_replace(substring(coalesce(text, ''), 1, 60), '[^\\x00-\\x7F]', '?', 'g') AS t, substring(coalesce(text, ''), 61) AS ab FROM documents),
+r AS (SELECT id, t, row_number() OVER (ORDER BY k, id) AS g FROM e),
+c1 AS (SELECT a.id AS left_id, b.id AS right_id, CASE WHEN greatest(length(a.t), length(b.t)) = 0 THEN 1.0::DOUBLE ELSE 1.0::DOUBLE - levenshtein(a.t, b.t)::DOUBLE / greatest(length(a.t), length(b.t)) END AS s1 FROM r a JOIN r b ON b.g BETWEEN a.g + 1 AND a.g + 9),
+need AS (SELECT left_id, right_id FROM c1 WHERE s1 >= 0.5),
+ch AS (SELECT id, string_split(ab, '') AS l FROM e WHERE id IN (SELECT left_id FROM need UNION SELECT right_id FROM need)),
+gr AS (SELECT DISTINCT id, l[i] || l[i + 1] || l[i + 2] AS gram FROM (SELECT id, l, unnest(range(1, len(l) - 1)) AS i FROM ch)),
+gn AS (SELECT id, count(*) AS n FROM gr GROUP BY id),
+cm AS (SELECT left_id, right_id, count(*) AS common FROM need JOIN gr a ON a.id = left_id JOIN gr b ON b.id = right_id AND b.gram = a.gram GROUP BY left_id, right_id),
+c AS (SELECT c1.left_id, c1.right_id, s1, CASE WHEN s1 < 0.5 THEN 0.0::DOUBLE WHEN length(x.ab) < 3 OR length(y.ab) < 3 THEN CASE WHEN x.ab = y.ab THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END ELSE 2.0::DOUBLE * coalesce(common, 0) / (m.n + n.n) END AS s2
+FROM c1 JOIN e x ON x.id = c1.left_id JOIN e y ON y.id = c1.right_id LEFT JOIN cm ON cm.left_id = c1.left_id AND cm.right_id = c1.right_id LEFT JOIN gn m ON m.id = c1.left_id LEFT JOIN gn n ON n.id = c1.right_id)"""
 
 
 def _match(s: SparkSession, d: str) -> DataFrame:
-    return resolve(tables.publications(s, d, features=True), SnConfig(), matching.TitleAbstract(), FEATURES)
+    return resolve(tables.publications(s, d, features=True), SnConfig(), matching.TitleAbstract(), EARLY, LATE)
 
 
 QUERIES["er_match_w10"] = lambda s, d: _match(s, d).withColumn("score", F.round("score", 6))
 ORACLES["er_match_w10"] = f"{_MATCH} SELECT left_id, right_id, round(s1 * 0.5::DOUBLE + s2 * 0.5::DOUBLE, 6) AS score FROM c WHERE s1 * 0.5::DOUBLE + s2 * 0.5::DOUBLE >= 0.75"
-QUERIES["er_match_full_w10"] = lambda s, d: resolve(tables.publications(s, d, features=True), SnConfig(method="replica"), matching.TitleAbstract(skip=False), FEATURES).withColumn("score", F.round("score", 6))
+QUERIES["er_match_full_w10"] = lambda s, d: resolve(tables.publications(s, d, features=True), SnConfig(method="replica"), matching.TitleAbstract(skip=False), EARLY, LATE).withColumn("score", F.round("score", 6))
 ORACLES["er_match_full_w10"] = ORACLES["er_match_w10"]
 
 
@@ -263,11 +269,15 @@ SELECT id, min(other) AS cluster FROM reach GROUP BY id"""
 
 @_add("er_learned")
 def _learned(s: SparkSession, d: str) -> DataFrame:
-    e = tables.publications(s, d, features=True).select("id", "k", "title_ascii", "abstract", "grams", "text")
-    found = methods.stitch_pairs(e, 10, _part(e), cols=("id", *FEATURES, "text"))
-    rows = found.select("left_id", "right_id", matching.edit_similarity(F.col("left_title_ascii"), F.col("right_title_ascii")).alias("s1"), matching.gram_similarity(F.col("left_grams"), F.col("right_grams"), F.col("left_abstract"), F.col("right_abstract")).alias("s2"), (F.col("left_text") == F.col("right_text")).cast("double").alias("label"))
-    model = matching.learned(rows, ["s1", "s2"])
-    return model.transform(rows).select("left_id", "right_id", "label", "prediction")
+    """Pairs of a held-out fold (two of ten by the hash of the pair) with label and prediction; the classifier learns from the others."""
+    e = tables.publications(s, d, features=True)
+    found = rel.enrich_pairs(methods.stitch_pairs(e, 10, _part(e), cols=("id", *EARLY)), e, ["abstract", "text"])
+    s1 = matching.edit_similarity(F.col("left_title_ascii"), F.col("right_title_ascii"))
+    s2 = matching.text_gram_similarity(F.col("left_abstract"), F.col("right_abstract"))
+    rows = found.select("left_id", "right_id", s1.alias("s1"), s2.alias("s2"), F.col("left_text").eqNullSafe(F.col("right_text")).cast("double").alias("label"))
+    rows = cut(rows.withColumn("held_out", F.pmod(F.xxhash64("left_id", "right_id"), F.lit(10)) < 2))
+    model = matching.learned(rows.where("not held_out"), ["s1", "s2"])
+    return model.transform(rows.where("held_out")).select("left_id", "right_id", "label", "prediction")
 
 
 # ---- partitioners and measures --------------------------------------------------------------
@@ -297,6 +307,10 @@ for _s in (40, 55, 70, 85):
 QUERIES["part_gini_composite"] = lambda s, d: measures.gini(layout.composite_range(_e(s, d), 10).groupBy("p").agg(F.count("*").alias("rows")), 10)
 
 
+QUERIES["part_gini_udaf"] = lambda s, d: measures.gini_by_udaf(measures.sizes_of(_e(s, d), parts.even_partitioner(8)), 8)
+ORACLES["part_gini_udaf"] = ORACLES["part_gini_even8"]
+
+
 @_add("part_monotone", f"WITH {E}, {_even_sql(10)} SELECT p, min(k) AS low, max(k) AS high, true AS ok FROM t GROUP BY p")
 def _monotone(s: SparkSession, d: str) -> DataFrame:
     return parts.monotone(layout.tag(_e(s, d), parts.even_partitioner(10)))
@@ -341,6 +355,12 @@ def _selectivity(s: SparkSession, d: str) -> DataFrame:
     return measures.selectivity(_match(s, d), methods.stitch_pairs(e, 10, _part(e)))
 
 
+@_add("measure_reduction_ratio", f"{WITH_R}, n AS (SELECT count(*) AS n FROM r) SELECT round(1.0::DOUBLE - count(*)::DOUBLE / greatest(1.0::DOUBLE, any_value(n.n) * (any_value(n.n) - 1) / 2.0::DOUBLE), 6) AS ratio FROM r a JOIN r b ON b.g BETWEEN a.g + 1 AND a.g + 9, n")
+def _reduction(s: SparkSession, d: str) -> DataFrame:
+    e = _e(s, d)
+    return methods.stitch_pairs(e, 10, _part(e)).agg(F.round(measures.reduction_ratio(e.count()), 6).alias("ratio"))
+
+
 @_add("measure_multipass_gain", f"{_TWO}, {_TRUTH}, one AS (SELECT least(a.id, b.id) AS left_id, greatest(a.id, b.id) AS right_id FROM r a JOIN r b ON b.g1 BETWEEN a.g1 + 1 AND a.g1 + 4) SELECT count(DISTINCT CASE WHEN one.left_id IS NOT NULL THEN (tr.a, tr.b) END) AS one_pass, count(DISTINCT CASE WHEN u.left_id IS NOT NULL THEN (tr.a, tr.b) END) AS two_passes FROM tr LEFT JOIN one ON tr.a = one.left_id AND tr.b = one.right_id LEFT JOIN u ON tr.a = u.left_id AND tr.b = u.right_id")
 def _gain(s: SparkSession, d: str) -> DataFrame:
     e = tables.publications(s, d)
@@ -382,21 +402,28 @@ _key("ordinal", "orders", "o_orderkey", lambda: keys.ordinal_key("o_custkey"), "
 _key("date", "orders", "o_orderkey", lambda: keys.date_key("o_orderdate"), "CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS BIGINT)")
 _key("suffix", "customer", "c_custkey", lambda: keys.suffix_key("c_name"), "lower(right(c_name, 3))")
 _key("host", "pages", "page_id", lambda: keys.host_key("url"), "coalesce(lower(regexp_extract(url, '://([^/?#]*)', 1)), '')")
-QUERIES["key_soundex"] = lambda s, d: tables.load(s, d, "part").select(F.col("p_partkey").alias("id"), keys.soundex_key("p_name").alias("k"))
+_CODES = "translate(regexp_replace(upper(p_name), '[^A-Z]', 'A', 'g'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', '01230127022455012623017202')"
+_RUNS = f"substring({_CODES}, 1, 1) || replace(substring({_CODES}, 2), '7', '')"
+for _digit in "0123456":
+    _RUNS = f"regexp_replace({_RUNS}, '{_digit}+', '{_digit}', 'g')"
+_key("soundex", "part", "p_partkey", lambda: keys.soundex_key("p_name"), f"upper(substring(p_name, 1, 1)) || rpad(substring(replace(substring({_RUNS}, 2), '0', ''), 1, 3), 3, '0')")
 
 # ---- relational surface ---------------------------------------------------------------------
 
 
-def _found(s: SparkSession, d: str) -> DataFrame:
-    e = _e(s, d)
-    return methods.stitch_pairs(e, 3, _part(e)).where("left_id % 3 = 0")
-
-
-_IDS = f"{WITH_R}, f AS (SELECT a.id AS left_id, b.id AS right_id FROM r a JOIN r b ON b.g BETWEEN a.g + 1 AND a.g + 2 WHERE a.id % 3 = 0), i AS (SELECT left_id AS id FROM f UNION SELECT right_id FROM f)"
-QUERIES["rel_semi"], ORACLES["rel_semi"] = lambda s, d: rel.has_partner(_e(s, d).select("id", "k"), _found(s, d)), f"{_IDS} SELECT id, k FROM e WHERE id IN (SELECT id FROM i)"
-QUERIES["rel_anti"], ORACLES["rel_anti"] = lambda s, d: rel.singletons(_e(s, d).select("id", "k"), _found(s, d)), f"{_IDS} SELECT id, k FROM e WHERE id NOT IN (SELECT id FROM i)"
-QUERIES["rel_band"] = lambda s, d: rel.band_join(*[tables.load(s, d, "part").where("p_size <= 10").select(F.col("p_partkey").alias("id"), F.col("p_retailprice").alias("v"))] * 2, "v", 5.0)
-ORACLES["rel_band"] = "SELECT a.p_partkey AS left_id, b.p_partkey AS right_id FROM part a JOIN part b ON abs(a.p_retailprice - b.p_retailprice) <= 5.0 WHERE a.p_size <= 10 AND b.p_size <= 10"
+_IDS = f"{_MATCH}, i AS (SELECT unnest([left_id, right_id]) AS id FROM c WHERE s1 * 0.5::DOUBLE + s2 * 0.5::DOUBLE >= 0.75)"
+QUERIES["rel_semi"], ORACLES["rel_semi"] = lambda s, d: rel.has_partner(_e(s, d).select("id", "k"), _match(s, d)), f"{_IDS} SELECT id, k FROM e WHERE id IN (SELECT id FROM i)"
+QUERIES["rel_anti"], ORACLES["rel_anti"] = lambda s, d: rel.singletons(_e(s, d).select("id", "k"), _match(s, d)), f"{_IDS} SELECT id, k FROM e WHERE id NOT IN (SELECT id FROM i)"
+QUERIES["rel_band"] = lambda s, d: rel.band_join(*[tables.load(s, d, "part").select(F.col("p_partkey").alias("id"), F.col("p_retailprice").alias("v"))] * 2, "v", 1.0)
+ORACLES["rel_band"] = "SELECT a.p_partkey AS left_id, b.p_partkey AS right_id FROM part a JOIN part b ON abs(a.p_retailprice - b.p_retailprice) <= 1.0"
+QUERIES["rel_projection"], ORACLES["rel_projection"] = lambda s, d: rel.with_key(tables.load(s, d, "documents"), keys.prefix_key("text")).select("doc_id", "k"), "SELECT doc_id, coalesce(lower(substring(text, 1, 2)), '') AS k FROM documents"
+QUERIES["rel_filter"], ORACLES["rel_filter"] = lambda s, d: rel.min_length(rel.in_languages(tables.load(s, d, "documents"), ["de", "en"]), 500).select("doc_id"), "SELECT doc_id FROM documents WHERE lang IN ('de', 'en') AND n_chars >= 500"
+QUERIES["rel_lookup"] = lambda s, d: rel.enrich_pairs(methods.stitch_pairs(e := tables.publications(s, d), 3, _part(e)).select("left_id", "right_id"), e, ["lang", "source"])
+ORACLES["rel_lookup"] = f"{WITH_R} SELECT a.id AS left_id, b.id AS right_id, x.lang AS left_lang, x.source AS left_source, y.lang AS right_lang, y.source AS right_source FROM r a JOIN r b ON b.g BETWEEN a.g + 1 AND a.g + 2 JOIN documents x ON x.doc_id = a.id JOIN documents y ON y.doc_id = b.id"
+QUERIES["rel_block_members"] = lambda s, d: rel.block_members(_e(s, d)).select("k", F.array_join(F.transform("ids", lambda i: i.cast("string")), ",").alias("ids"))
+ORACLES["rel_block_members"] = f"WITH {E} SELECT k, string_agg(CAST(id AS VARCHAR), ',' ORDER BY id) AS ids FROM e GROUP BY k"
+QUERIES["rel_term_map"] = lambda s, d: rel.term_map(tables.load(s, d, "conversations").select(F.col("conv_id").alias("doc_id"), "text")).select("doc_id", F.explode("terms").alias("term", "n"))
+ORACLES["rel_term_map"] = "SELECT conv_id AS doc_id, term, count(*) AS n FROM (SELECT conv_id, unnest(string_split(text, ' ')) AS term FROM conversations) WHERE term <> '' GROUP BY conv_id, term HAVING count(*) > 1"
 QUERIES["rel_interval"] = lambda s, d: rel.events_within(*[tables.load(s, d, "events")] * 2, "10 minutes")
 ORACLES["rel_interval"] = "SELECT a.event_id AS left_id, b.event_id AS right_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE"
 
@@ -474,6 +501,11 @@ def _tumbling(s: SparkSession, d: str) -> DataFrame:
     return streams.run_once(streams.tumbling_counts(streams.read_events(s, f"{d}/events.parquet")), "tumbling")
 
 
+@_add("stream_sliding", f"WITH w AS (SELECT event_type, unnest([time_bucket(INTERVAL 30 MINUTE, ts), time_bucket(INTERVAL 30 MINUTE, ts) - INTERVAL 30 MINUTE]) AS start FROM events) SELECT start, event_type, count(*) AS n FROM w GROUP BY start, event_type HAVING start + INTERVAL 1 HOUR <= {_CLOSED}")
+def _sliding(s: SparkSession, d: str) -> DataFrame:
+    return streams.run_once(streams.tumbling_counts(streams.read_events(s, f"{d}/events.parquet"), slide="30 minutes"), "sliding")
+
+
 @_add("stream_session", f"WITH x AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events), y AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS ses FROM x) SELECT min(ts) AS start, user_id, count(*) AS n FROM y GROUP BY user_id, ses HAVING max(ts) + INTERVAL 30 MINUTE <= {_CLOSED}")
 def _session(s: SparkSession, d: str) -> DataFrame:
     return streams.run_once(streams.session_counts(streams.read_events(s, f"{d}/events.parquet")), "session")
@@ -481,7 +513,8 @@ def _session(s: SparkSession, d: str) -> DataFrame:
 
 @_add("stream_dedupe", "SELECT event_id FROM events")
 def _dedupe(s: SparkSession, d: str) -> DataFrame:
-    return streams.run_once(streams.first_of_duplicates(streams.read_events(s, f"{d}/events.parquet"), ["event_id"]), "dedupe").select("event_id")
+    twice = streams.read_events(s, f"{d}/events.parquet").withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2))))
+    return streams.run_once(streams.first_of_duplicates(twice, ["event_id"]), "dedupe").select("event_id")
 
 
 @_add("stream_interval", ORACLES["rel_interval"])

@@ -42,13 +42,23 @@ def load_entities(spark: SparkSession, path: str, fmt: str, schema: str, id_col:
 
 
 def publications(spark: SparkSession, folder: str, features: bool = False) -> DataFrame:
-    """Documents as publications: title of 60 characters, abstract of the next 500, two-letter key."""
+    """Documents as publications: title of 60 characters, the rest of the text as abstract, two-letter key."""
     docs = load(spark, folder, "documents")
     title = F.substring(F.coalesce("text", F.lit("")), 1, 60)
-    view = docs.select(F.col("doc_id").alias("id"), keys.prefix_key(title).alias("k"), title.alias("title"), F.substring(F.coalesce("text", F.lit("")), 61, 500).alias("abstract"), "text", "lang", "source")
+    view = docs.select(F.col("doc_id").alias("id"), keys.prefix_key(title).alias("k"), title.alias("title"), F.substring(F.coalesce("text", F.lit("")), 61, (1 << 31) - 1).alias("abstract"), "text", "lang", "source")
     return matching.prepare(view) if features else view
 
 
+def slices(spark: SparkSession, folder: str, chars: int = 560) -> DataFrame:
+    """Every ``chars`` characters of every document as a publication of its own: more rows than documents, and all of their text. For timings."""
+    docs = load(spark, folder, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    last = F.floor(F.greatest(F.char_length("text") - 1, F.lit(0)) / chars)
+    cut = docs.select("doc_id", "text", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("n"))
+    part = cut.select((F.col("doc_id") * 100_000 + F.col("n")).alias("id"), F.substring(F.col("text"), (F.col("n") * chars + 1).cast("int"), F.lit(chars)).alias("part"))
+    title = F.substring("part", 1, 60)
+    return matching.prepare(part.select("id", keys.prefix_key(title).alias("k"), title.alias("title"), F.substring("part", 61, chars).alias("abstract")))
+
+
 def keyed(spark: SparkSession, folder: str) -> DataFrame:
     """(id, k, mapper_id) only: what window methods have to move. mapper_id stands in for the input split."""
     return publications(spark, folder).select("id", "k").withColumn("mapper_id", F.pmod("id", F.lit(4)))

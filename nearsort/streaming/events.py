@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..operators import pairs
-from ..operators.layout import ordered
+from ..operators.layout import ordered, tag
 from ..operators.partitioners import Partitioner
 from ..plans.durable import fresh
 
@@ -67,19 +67,34 @@ def late_rows(query) -> int:  # noqa: ANN001
 class IncrementalPairs:
     """Entities arrive in batches; each batch is merged into the ordered store and gives the pairs with a new row.
 
-    A pair is valid when given: rows that come later may push its two apart. A batch that is
-    replayed finds its own rows in the store and replaces its former output, so nothing doubles.
+    The store lies by partition. A batch reads the partitions that it has rows in, and on both sides as many more as it takes to have
+    w - 1 rows there; ranks among these give the true distances of all pairs with a new row. A pair is valid when given: rows that come
+    later may push its two apart. A batch that is replayed finds its own rows in the store and replaces its former output, so nothing doubles.
     """
 
     def __init__(self, spark: SparkSession, partitioner: Partitioner, w: int, folder: str | None = None):
         self.spark, self.partitioner, self.w = spark, partitioner, w
         self.folder = folder or fresh(spark, "pairs")
 
+    def _around(self, store: DataFrame, touched: set[int]) -> list[int]:
+        """Partitions that pairs of the touched ones can reach into; one count a partition comes to the driver."""
+        rows = {r.p: r.n for r in store.groupBy("p").agg(F.count("*").alias("n")).collect()}
+        need = set(touched)
+        for p in touched:
+            for step in (-1, 1):
+                seen, q = 0, p + step
+                while seen < self.w - 1 and 0 <= q < self.partitioner.parts:
+                    need.add(q)
+                    seen, q = seen + rows.get(q, 0), q + step
+        return sorted(need)
+
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        rows = batch.select("id", "k").withColumn("batch", F.lit(batch_id).cast("long"))
-        rows.write.mode("overwrite").parquet(f"{self.folder}/store/b={batch_id}")
-        store = self.spark.read.parquet(f"{self.folder}/store").where(F.col("batch") <= batch_id)
-        near = pairs.bucket(ordered(store.select("id", "k", "batch"), self.partitioner), self.w, ("id", "batch"))
+        rows = tag(batch.select("id", "k"), self.partitioner).withColumn("batch", F.lit(batch_id).cast("long"))
+        rows.write.mode("overwrite").partitionBy("p").parquet(f"{self.folder}/store/b={batch_id}")
+        store = self.spark.read.schema("id " + batch.schema["id"].dataType.simpleString() + ", k " + batch.schema["k"].dataType.simpleString() + ", batch long, b int, p int").parquet(f"{self.folder}/store").where(F.col("b") <= batch_id)
+        touched = {r.p for r in store.where(F.col("b") == batch_id).select("p").distinct().collect()}
+        some = store.where(F.col("p").isin(self._around(store, touched)))
+        near = pairs.bucket(ordered(some.select("id", "k", "batch"), self.partitioner), self.w, ("id", "batch"))
         fresh_pairs = near.where(F.greatest("left_batch", "right_batch") == batch_id).select("left_id", "right_id", "distance")
         fresh_pairs.write.mode("overwrite").parquet(f"{self.folder}/out/b={batch_id}")
 

@@ -139,8 +139,13 @@ def speedup(seconds: dict[int, float]) -> dict[int, float]:
     return {c: base / s for c, s in sorted(seconds.items())}
 
 
-def shuffle_report(spark: SparkSession, event_log: str) -> DataFrame:
-    """Shuffled and spilled bytes of all tasks in an event log."""
-    events = spark.read.json(event_log).where("Event = 'SparkListenerTaskEnd'")
-    m = F.col("Task Metrics")
+def shuffle_report(spark: SparkSession, event_log: str, since: float | None = None, until: float | None = None) -> DataFrame:
+    """Shuffled and spilled bytes of all tasks in an event log, or of those that ended between two times (seconds)."""
+    task = "Event string, `Task Info` struct<`Finish Time`: long>, `Task Metrics` struct<`Shuffle Write Metrics`: struct<`Shuffle Bytes Written`: long>, `Disk Bytes Spilled`: long>"
+    events = spark.read.schema(task).json(event_log).where("Event = 'SparkListenerTaskEnd'")
+    at, m = F.col("Task Info")["Finish Time"], F.col("Task Metrics")
+    if since is not None:
+        events = events.where(at >= F.lit(int(since * 1000)))
+    if until is not None:
+        events = events.where(at <= F.lit(int(until * 1000)))
     return events.agg(F.sum(m["Shuffle Write Metrics"]["Shuffle Bytes Written"]).alias("shuffle_bytes"), F.sum(m["Disk Bytes Spilled"]).alias("spill_bytes"))

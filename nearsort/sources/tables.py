@@ -52,9 +52,10 @@ def publications(spark: SparkSession, folder: str, features: bool = False) -> Da
 def slices(spark: SparkSession, folder: str, chars: int = 560) -> DataFrame:
     """Every ``chars`` characters of every document as a publication of its own: more rows than documents, and all of their text. For timings."""
     docs = load(spark, folder, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    last = F.floor(F.greatest(F.char_length("text") - 1, F.lit(0)) / chars)
-    cut = docs.select("doc_id", "text", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("n"))
-    part = cut.select((F.col("doc_id") * 100_000 + F.col("n")).alias("id"), F.substring(F.col("text"), (F.col("n") * chars + 1).cast("int"), F.lit(chars)).alias("part"))
+    last = F.floor(F.greatest(F.char_length("text") - 1, F.lit(0)) / chars).cast("int")
+    some = F.transform(F.sequence(F.lit(0), last), lambda n: F.substring(F.col("text"), n * chars + 1, F.lit(chars)))
+    cut = docs.select("doc_id", F.posexplode(some).alias("n", "part"))
+    part = cut.select((F.col("doc_id") * 100_000 + F.col("n")).alias("id"), "part")
     title = F.substring("part", 1, 60)
     return matching.prepare(part.select("id", keys.prefix_key(title).alias("k"), title.alias("title"), F.substring("part", 61, chars).alias("abstract")))
 

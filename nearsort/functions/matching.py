@@ -30,10 +30,79 @@ def bounded_edit(a: Column, b: Column, least: float) -> Column:
     return F.coalesce(F.when(n == 0, F.lit(1.0)).when(near & (d >= 0), F.lit(1.0) - d / n).otherwise(F.lit(0.0)), F.lit(0.0))
 
 
+#: Characters that one machine word has bits for.
+_WORD = 64
+
+
+def edit_distances(left: list[str], right: list[str]) -> np.ndarray:
+    """Edit distances of pairs of texts, a column of the usual table at a time for all pairs: its steps up and down are the bits of two words.
+
+    Texts of more than 64 characters are worked out one by one, with long numbers for words.
+    """
+    m, n = (np.fromiter(map(len, x), np.int64, len(x)) for x in (left, right))
+    out = np.zeros(len(left), np.int64)
+    for k in np.flatnonzero(np.maximum(m, n) > _WORD).tolist():
+        out[k] = _long_distance(left[k], right[k])
+    short = np.flatnonzero(np.maximum(m, n) <= _WORD)
+    if not len(short):
+        return out
+    a, b = (np.array([x[k] for k in short.tolist()], dtype=f"<U{_WORD}").view(np.uint32).reshape(len(short), _WORD) for x in (left, right))
+    m, n = m[short], n[short]
+    one = np.uint64(1)
+    last = np.left_shift(one, np.maximum(m - 1, 0).astype(np.uint64))
+    up, down, score = np.full(len(short), ~np.uint64(0)), np.zeros(len(short), np.uint64), m.copy()
+    for j in range(int(n.max())):
+        equal = np.packbits(a == b[:, j : j + 1], axis=1, bitorder="little").view("<u8").ravel()
+        straight = equal | down
+        level = (((equal & up) + up) ^ up) | equal
+        more, less = down | ~(level | up), up & level
+        score += (j < n) * (((more & last) != 0).astype(np.int64) - ((less & last) != 0))
+        more, less = more << one | one, less << one
+        up, down = less | ~(straight | more), more & straight
+    out[short] = np.where(m == 0, n, score)
+    return out
+
+
+def _long_distance(x: str, y: str) -> int:
+    if not x:
+        return len(y)
+    places: dict[str, int] = {}
+    for k, c in enumerate(x):
+        places[c] = places.get(c, 0) | 1 << k
+    whole, last = (1 << len(x)) - 1, 1 << len(x) - 1
+    up, down, score = whole, 0, len(x)
+    for c in y:
+        equal = places.get(c, 0)
+        straight = equal | down
+        level = (((equal & up) + up) ^ up) | equal
+        more, less = (down | ~(level | up)) & whole, up & level
+        score += bool(more & last) - bool(less & last)
+        more, less = (more << 1 | 1) & whole, less << 1 & whole
+        up, down = (less | ~(straight | more)) & whole, more & straight
+    return score
+
+
+def text_edit_similarity(a: Column, b: Column, least: float) -> Column:
+    """bounded_edit() in Arrow batches: some ten times as fast for titles, as all pairs of a batch are worked out together."""
+
+    @F.pandas_udf("double")
+    def similarity(left: pd.Series, right: pd.Series) -> pd.Series:
+        some = (left.notna() & right.notna()).to_numpy()
+        x, y = left[some].tolist(), right[some].tolist()
+        n = np.maximum(np.fromiter(map(len, x), np.int64, len(x)), np.fromiter(map(len, y), np.int64, len(y)))
+        d = edit_distances(x, y)
+        near = d <= np.floor((1.0 - least) * n + 1e-9)
+        out = np.zeros(len(left))
+        out[some] = np.where(n == 0, 1.0, np.where(near, 1.0 - d / np.maximum(n, 1), 0.0))
+        return pd.Series(out)
+
+    return similarity.asNondeterministic()(a, b)
+
+
 def trigrams(c: Column, padded: bool = False) -> Column:
     """Distinct 3-grams; none for fewer than three characters."""
     c = F.concat(F.lit("  "), c, F.lit("  ")) if padded else c
-    return _grams(c, F.split(c, ""), F.concat, "string")
+    return _grams(c, F.split(c, ""), lambda x, y: F.concat(x, y), "string")
 
 
 def gram_codes(c: Column, padded: bool = False) -> Column:
@@ -160,7 +229,7 @@ class TitleAbstract:
         if not self.skip:
             return pairs.withColumn("s1", edit_similarity(a, b))
         need = max(0.0, (self.least - self.w2) / self.w1)
-        return pairs.withColumn("s1", bounded_edit(a, b, need)).where(F.col("s1") * self.w1 + self.w2 >= self.least)
+        return pairs.withColumn("s1", text_edit_similarity(a, b, need)).where(F.col("s1") * self.w1 + self.w2 >= self.least)
 
     def __call__(self, pairs: DataFrame) -> DataFrame:
         if "s1" not in pairs.columns:
@@ -184,9 +253,12 @@ def pandas_matcher(function: Callable[[pd.DataFrame], pd.Series], least: float)
 
 
 def learned(training: DataFrame, features: list[str], label: str = "label"):
-    """A logistic classifier of pair features; its ``transform`` adds ``prediction`` and ``probability``."""
+    """A logistic classifier of pair features; its ``transform`` adds ``prediction`` and ``probability``. Matches are rare among candidates, so both classes weigh alike."""
     from pyspark.ml import Pipeline
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import VectorAssembler
 
-    return Pipeline(stages=[VectorAssembler(inputCols=features, outputCol="features"), LogisticRegression(labelCol=label, maxIter=50, regParam=0.001)]).fit(training)
+    share = training.agg(F.avg(label)).first()[0] or 0.0
+    weight = F.when(F.col(label) == 1, F.lit(0.5 / max(share, 1e-9))).otherwise(F.lit(0.5 / max(1 - share, 1e-9)))
+    stages = [VectorAssembler(inputCols=features, outputCol="features"), LogisticRegression(labelCol=label, weightCol="weight", maxIter=50, regParam=0.001)]
+    return Pipeline(stages=stages).fit(training.withColumn("weight", weight))

@@ -49,6 +49,7 @@ def _near_seams(rows: DataFrame, offsets: DataFrame, w: int, after: int) -> Data
 
 def boundary_rows(ordered: DataFrame, offsets: DataFrame, w: int, completeness: str = "exact") -> DataFrame:
     """Input of the second job: for each seam the rows within w - 1 of it. "adjacent" takes the neighbouring partitions' tails and heads only."""
+    offsets = layout.known(offsets)
     edge = ordered.where((F.col("rn") <= w - 1) | (F.col("rn_desc") <= w - 1))
     near = _near_seams(edge, offsets, w, w - 1)
     if completeness == "adjacent":

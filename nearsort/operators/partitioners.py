@@ -11,6 +11,8 @@ from ..plans.durable import cut
 
 #: Different keys up to which the driver sums the histogram; beyond it, key ranges are summed where they lie.
 MAX_HISTOGRAM = 100_000
+#: Cuts up to which a partition number is a sum of comparisons, which compiles better than a function over an array.
+FEW_CUTS = 100
 
 
 @dataclass(frozen=True)
@@ -23,12 +25,15 @@ class Partitioner:
 
 def cut_partitioner(cuts: list, side: str = "right") -> Partitioner:
     """Number of cuts below the key; side "left" counts a cut equal to the key too."""
-    table = F.array(*map(F.lit, cuts)) if cuts else None
+    reached = (lambda c, k: c < k) if side == "right" else (lambda c, k: c <= k)
 
     def column(k: Column) -> Column:
-        if table is None:
-            return F.lit(0)
-        return F.size(F.filter(table, (lambda c: c < k) if side == "right" else (lambda c: c <= k)))
+        if len(cuts) > FEW_CUTS:
+            return F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: reached(c, k)))
+        total = F.lit(0)
+        for c in cuts:
+            total = total + F.when(reached(F.lit(c), k), 1).otherwise(0)
+        return total
 
     return Partitioner(len(cuts) + 1, column)
 

@@ -101,6 +101,55 @@ def test_config(spark, data):
     assert triples(candidates(e, SnConfig(w=150))) == triples(candidates(e, SnConfig(w=150, method="sequential")))
 
 
+@pytest.mark.parametrize("w", [15, 101])
+def test_engines_do_not_change_the_pairs(spark, data, w):
+    from nearsort.sources import tables
+
+    e = tables.keyed(spark, data)
+    for method in ("stitch", "replica", "local"):
+        for completeness in ("exact", "adjacent"):
+            got = [triples(candidates(e, SnConfig(w=w, r=20, method=method, completeness=completeness, engine=engine))) for engine in ("frame", "bucket", "auto")]
+            assert got[0] == got[1] == got[2]
+    full, near = (len(triples(candidates(e, SnConfig(w=101, r=20, completeness=c)))) for c in ("exact", "adjacent"))
+    assert near < full == measures.pair_count(e.count(), 101)
+
+
+def test_all_pairs(spark, data):
+    from nearsort.sources import tables
+
+    e = tables.keyed(spark, data)
+    got = [(r.left_id, r.right_id) for r in methods.cross_pairs(e, tile=30).collect()]
+    assert len(got) == len(set(got)) == 19900 and all(a < b for a, b in got)
+
+
+def test_balanced_cuts_far_and_near_agree(spark, data):
+    from nearsort.sources import tables
+
+    e = tables.keyed(spark, data)
+    near, far = parts.balanced_partitioner(e, 7), parts.balanced_partitioner(e, 7, near=3)
+    assert layout.tag(e, near).exceptAll(layout.tag(e, far)).isEmpty()
+
+
+def test_composite_ranges_are_even(spark, data):
+    from nearsort.sources import tables
+
+    e = tables.keyed(spark, data).withColumn("k", F.lit("one heavy key"))
+    sizes = layout.composite_range(e, 8).groupBy("p").agg(F.count("*").alias("rows"))
+    assert measures.gini(sizes, 8).first()[0] < 0.2
+
+
+def test_union_sorted(spark):
+    a, b = (spark.createDataFrame(x, "id long") for x in ([(3,), (1,)], [(2,)]))
+    assert [r.id for r in methods.union_sorted(a, b, order=("id",)).collect()] == [1, 2, 3]
+
+
+def test_shuffle_report(spark, tmp_path):
+    line = '{"Event":"SparkListenerTaskEnd","Task Info":{"Finish Time":%d},"Task Metrics":{"Disk Bytes Spilled":1,"Shuffle Write Metrics":{"Shuffle Bytes Written":%d}}}\n'
+    (tmp_path / "log").write_text('{"Event":"Other"}\n' + line % (1000, 5) + line % (2000, 7))
+    assert tuple(measures.shuffle_report(spark, str(tmp_path / "log")).first()) == (12, 2)
+    assert tuple(measures.shuffle_report(spark, str(tmp_path / "log"), 1.5, 2.5).first()) == (7, 1)
+
+
 def test_formulas():
     assert measures.pair_count(1000, 10) == measures.pair_count(1000, 10, closed=True) == 8955
     assert measures.pair_count(200, 1000) == 19900
@@ -139,3 +188,19 @@ def test_plan_has_one_exchange(spark, data):
     plan = methods.local_pairs(e, 5, parts.even_partitioner(8))._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange") == 1 and "Cartesian" not in plan
     assert "ReadSchema: struct<doc_id:bigint,text:string>" in plan
+
+
+def test_stitch_shares_its_wide_exchange(spark, data):
+    """The rows are read and moved once; the second use is of the same exchange."""
+    from nearsort.sources import tables
+
+    e = tables.publications(spark, data).select("id", "k")
+    adaptive = spark.conf.get("spark.sql.adaptive.enabled")
+    try:
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        plan = methods.stitch_pairs(e, 5, parts.even_partitioner(8))._jdf.queryExecution().executedPlan().toString()
+        once = methods.replica_pairs(e, 5, parts.even_partitioner(8))._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+    assert plan.count("FileScan") == 1 and plan.count("shufflepartitionidpassthrough") - plan.count("ReusedExchange") == 1
+    assert once.count("shufflepartitionidpassthrough") == 1 and "WindowGroupLimit" in once

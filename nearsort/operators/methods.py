@@ -57,10 +57,11 @@ def boundary_rows(ordered: DataFrame, offsets: DataFrame, w: int, completeness:
     return near
 
 
-def seam_pairs(boundary: DataFrame, w: int, cols: tuple[str, ...] = ("id",), parallelism: int | None = None) -> DataFrame:
+def seam_pairs(boundary: DataFrame, w: int, cols: tuple[str, ...] = ("id",), parallelism: int | None = None, engine: str = "frame") -> DataFrame:
     """Windows over each seam's rows; pairs of one partition are known already, others belong to the seam before their right row."""
     rows = boundary.coalesce(parallelism) if parallelism else boundary
-    got = pairs.frame(rows, w, group="seam", order=("g",), cols=(*dict.fromkeys((*cols, "p", "seam")),))
+    some = (*dict.fromkeys((*cols, "p", "seam")),)
+    got = pairs.bucket(rows, w, some, group="seam") if engine == "bucket" else pairs.frame(rows, w, group="seam", order=("g",), cols=some)
     return got.where((F.col("left_p") < F.col("right_p")) & (F.col("right_p") == F.col("right_seam"))).drop("left_p", "right_p", "left_seam", "right_seam")
 
 
@@ -70,7 +71,7 @@ def stitch_pairs(entities: DataFrame, w: int, partitioner: Partitioner, complete
     offsets = layout.offsets_of(entities, partitioner)
     ordered = layout.ordered(rows, partitioner, offsets)
     inside = _engine(engine)(layout.place(layout.tag(rows, partitioner), partitioner.parts), w, cols=cols)
-    return union_sorted(inside, seam_pairs(boundary_rows(ordered, offsets, w, completeness), w, cols, parallelism))
+    return union_sorted(inside, seam_pairs(boundary_rows(ordered, offsets, w, completeness), w, cols, parallelism, engine))
 
 
 def union_sorted(*found: DataFrame, order: tuple[str, ...] = ()) -> DataFrame:

@@ -3,7 +3,7 @@
 import random
 import re
 import zlib
-from collections import Counter
+from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
@@ -99,6 +99,34 @@ def test_near_duplicates_are_those_of_similar_shingles(spark, docs, odd, data):
         assert got == plain_clusters([(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()])
 
 
+@pytest.mark.parametrize("texts, size", [(4, 1 << 30), (1 << 20, 5000)])
+def test_components_too_large_for_a_task_are_split(spark, texts, size):
+    """A chain that only neighbours link, and copies of one text with few and many changes: the same classes in chunks as whole."""
+    rng, base = np.random.default_rng(4), prose(9, 120)
+    rows, chain = [], base.copy()
+    for k in range(60):
+        chain = chain.copy()
+        chain[int(rng.integers(5, 115))] = f"c{k}"  # some 5 of 116 shingles a step
+        rows.append((k, " ".join(chain), "en"))
+    star = prose(10, 120)
+    for k in range(60, 120):
+        near = star.copy()
+        for x in rng.integers(0, 120, 3 if k % 4 else 6):
+            near[x] = f"s{k}"
+        rows.append((k, " ".join(near), "en"))
+    docs = table(spark, rows)
+
+    def kept(**bounds):
+        found = defaultdict(set)
+        for r in shingles.clusters(docs, **bounds).collect():
+            found[bytes(r.head)].add(r.id)
+        return sorted(map(sorted, found.values()))
+
+    whole = kept()
+    assert kept(texts=texts, size=size) == whole
+    assert {c[0] for c in whole} == plain_clusters([(i, t) for i, t, _ in rows])
+
+
 def test_near_copies_beyond_three_bits_meet(spark, data):
     rows = []
     for k in range(40):

@@ -122,6 +122,30 @@ def test_all_pairs(spark, data):
     assert len(got) == len(set(got)) == 19900 and all(a < b for a, b in got)
 
 
+@pytest.fixture
+def small_tiles(monkeypatch):
+    from nearsort.operators import pairs
+
+    monkeypatch.setattr(pairs, "TILE", 20)
+    monkeypatch.setattr(pairs, "TASK_PAIRS", 500)
+
+
+def largest_share(found):
+    """Of the pairs, the share that the task with the most makes."""
+    sizes = [r["count"] for r in found.groupBy(F.spark_partition_id()).count().collect()]
+    return max(sizes) / sum(sizes)
+
+
+HEAVY = [(k, "heavy" if k % 4 else None if k % 8 else f"k{k % 3}") for k in range(160)] + [(5, "heavy"), (5, "heavy"), (None, "heavy")]
+
+
+def test_pairs_of_a_heavy_block_are_the_work_of_many_tasks(spark, small_tiles):
+    found = methods.block_pairs(spark.createDataFrame(HEAVY, "id long, k string"))
+    rows = [x for x in HEAVY if x[0] is not None]
+    assert sorted((r.left_id, r.right_id) for r in found.collect()) == sorted((a, b) for a, k in rows for b, j in rows if a < b and k == j and k is not None)
+    assert largest_share(found) < 0.3
+
+
 def test_balanced_cuts_far_and_near_agree(spark, data):
     from nearsort.sources import tables
 

@@ -139,6 +139,13 @@ def largest_share(found):
 HEAVY = [(k, "heavy" if k % 4 else None if k % 8 else f"k{k % 3}") for k in range(160)] + [(5, "heavy"), (5, "heavy"), (None, "heavy")]
 
 
+def test_all_pairs_are_the_work_of_many_tasks(spark, small_tiles):
+    found = methods.cross_pairs(spark.createDataFrame(HEAVY, "id long, k string"))
+    ids = [i for i, _ in HEAVY if i is not None]
+    assert sorted((r.left_id, r.right_id) for r in found.collect()) == sorted((a, b) for a in ids for b in ids if a < b)
+    assert largest_share(found) < 0.3
+
+
 def test_pairs_of_a_heavy_block_are_the_work_of_many_tasks(spark, small_tiles):
     found = methods.block_pairs(spark.createDataFrame(HEAVY, "id long, k string"))
     rows = [x for x in HEAVY if x[0] is not None]

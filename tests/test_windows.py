@@ -153,6 +153,16 @@ def test_pairs_of_a_heavy_block_are_the_work_of_many_tasks(spark, small_tiles):
     assert largest_share(found) < 0.3
 
 
+def test_a_hash_join_of_a_heavy_block_is_the_work_of_many_tasks(spark, small_tiles):
+    from nearsort.operators import relational as rel
+
+    found = rel.same_key_join(spark.createDataFrame(HEAVY, "id long, k string"), "shuffle_hash")
+    rows = [x for x in HEAVY if x[0] is not None]
+    assert sorted((r.left_id, r.right_id) for r in found.collect()) == sorted((a, b) for a, k in rows for b, j in rows if a < b and k == j)
+    assert largest_share(found) < 0.3
+    assert "ShuffledHashJoin" in found._jdf.queryExecution().executedPlan().toString()
+
+
 def test_balanced_cuts_far_and_near_agree(spark, data):
     from nearsort.sources import tables
 

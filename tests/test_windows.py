@@ -163,6 +163,18 @@ def test_a_hash_join_of_a_heavy_block_is_the_work_of_many_tasks(spark, small_til
     assert "ShuffledHashJoin" in found._jdf.queryExecution().executedPlan().toString()
 
 
+def test_pairs_of_a_heavy_band_are_the_work_of_many_tasks(spark, small_tiles):
+    from nearsort.operators import relational as rel
+
+    values = [(k, 7.0 if k % 3 else k / 10) for k in range(150)] + [(200, 1.0), (201, -1e-20), (202, None), (5, 7.0), (None, 7.0)]
+    df = spark.createDataFrame(values, "id long, v double")
+    found = rel.band_join(df, df, "v", 1.0)
+    key = lambda x: tuple(-1 if y is None else y for y in x)
+    want = sorted(((a, b) for a, x in values for b, y in values if x is not None and y is not None and abs(x - y) <= 1.0), key=key)
+    assert sorted(((r.left_id, r.right_id) for r in found.collect()), key=key) == want
+    assert largest_share(found) < 0.3
+
+
 def test_balanced_cuts_far_and_near_agree(spark, data):
     from nearsort.sources import tables
 

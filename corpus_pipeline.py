@@ -28,7 +28,10 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep of documents linked by a similarity of 0.8 or more of their five-word shingles the one of the least id."""
+    """Keep of documents linked by a similarity of 0.8 or more of their five-word shingles the one of the least id.
+
+    Covering SimHash, and bands of minima for pairs beyond its three bits, find what is compared.
+    """
     return shingles.keep_one(docs).select(*COLUMNS)
 
 

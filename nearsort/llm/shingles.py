@@ -1,10 +1,11 @@
 """Near-duplicates by the similarity of their five-word shingles.
 
-A sketch of 100 minima per text, cut into 20 bands of five, finds candidates: texts that agree in a band meet, so a pair
-of similarity s is missed with probability (1 - s**5)**20, at 0.8 about 0.0004. The components of all candidates are then looked at one by
-one, and within them the whole shingle sets decide which texts are linked; a component that is too large for one task is looked at in chunks
-(``_split``). SimHash can't find such pairs:
-at 0.8 the fingerprints of two texts differ in about ten of 64 bits, and covering that radius takes thousands of tables.
+Candidates come from two sources. Covering SimHash over the same shingles (``simhash.links``) joins texts whose fingerprints differ in at
+most three of 64 bits. At a similarity of 0.8 fingerprints differ in about ten bits, and covering that radius takes thousands of tables; so
+pairs further apart come from a sketch of 100 minima per text, cut into 20 bands of five: a pair of similarity s shares no band with
+probability (1 - s**5)**20, at 0.8 about 0.0004. The components of all candidates are then looked at one by one, and within them the whole
+shingle sets decide which texts are linked, whichever source joined them; a component that is too large for one task is looked at in chunks
+(``_split``).
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ import xxhash
 import zstandard
 from pyspark.sql import Column, DataFrame, functions as F
 
-from . import textscan as ts
+from . import simhash, textscan as ts
 from .components import components
 from .durable import cut
 from .lean import lean
@@ -161,6 +162,23 @@ def _texts(docs: DataFrame, text_col: str) -> Column:
     return F.coalesce(F.col(text_col), F.lit(""))
 
 
+def _by_bands(distinct: DataFrame) -> DataFrame:
+    """(a, b) that join digests which agree in a band of their minima."""
+    bands = F.array(*(F.xxhash64(F.substring("sketch", 1 + 4 * ROWS * k, 4 * ROWS)) for k in range(BANDS)))
+    keyed = distinct.select("dig", F.posexplode(bands).alias("band", "key"))
+    heads = keyed.groupBy("band", "key").agg(F.min("dig").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
+    return keyed.join(heads, ["band", "key"]).select("a", F.col("dig").alias("b"))
+
+
+def _by_fingerprints(distinct: DataFrame) -> DataFrame:
+    """(a, b) that join digests whose fingerprints are linked by covering SimHash."""
+    first = cut(distinct.groupBy("fp").agg(F.min("dig").alias("a")))
+    same = distinct.join(first, "fp").where("a != dig").select("a", F.col("dig").alias("b"))
+    ends = [first.select(F.col("fp").alias(x), F.col("a").alias(y)) for x, y in (("a", "x"), ("b", "y"))]
+    near = cut(simhash.links(first.select("fp"))).join(ends[0], "a").join(ends[1], "b")
+    return same.unionByName(near.select(F.col("x").alias("a"), F.col("y").alias("b")))
+
+
 def clusters(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", texts: int = GROUP_TEXTS, size: int = GROUP_BYTES) -> DataFrame:
     """(id, th, head): every row's id, the hash of its text and a digest that linked texts share; equal words are linked whatever their blanks and case.
 
@@ -172,17 +190,14 @@ def clusters(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", te
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             got = list(_sketches(b.column(2)))
+            prints = ts.signed(np.fromiter(simhash.column_fingerprints(b.column(2), WORDS), np.uint64, b.num_rows))
             bytes_ = np.diff(ts.text_buffers(b.column(2))[1])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array([x[k] for x in got], pa.binary()) for k in (0, 1)), pa.array(bytes_, pa.int64())], names=["id", "th", "dig", "sketch", "size"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array([x[k] for x in got], pa.binary()) for k in (0, 1)), pa.array(bytes_, pa.int64()), pa.array(prints, pa.int64())], names=["id", "th", "dig", "sketch", "size", "fp"])
 
     plain = docs.select(F.col(id_col).alias("id"), F.xxhash64(text).alias("th"), text.alias("t"))
-    rows = cut(plain.mapInArrow(lean(sketch), f"id {kind}, th long, dig binary, sketch binary, size long"))
-    distinct = cut(rows.groupBy("dig").agg(F.min(F.struct("id", "th")).alias("least"), F.first("sketch").alias("sketch"), F.max("size").alias("size")))
-    bands = F.array(*(F.xxhash64(F.substring("sketch", 1 + 4 * ROWS * k, 4 * ROWS)) for k in range(BANDS)))
-    keyed = distinct.select("dig", F.posexplode(bands).alias("band", "key"))
-    heads = keyed.groupBy("band", "key").agg(F.min("dig").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-    stars = keyed.join(heads, ["band", "key"]).select("a", F.col("dig").alias("b"))
-    roots = components(stars, "a", "b")
+    rows = cut(plain.mapInArrow(lean(sketch), f"id {kind}, th long, dig binary, sketch binary, size long, fp long"))
+    distinct = cut(rows.groupBy("dig").agg(F.min(F.struct("id", "th")).alias("least"), F.first("sketch").alias("sketch"), F.max("size").alias("size"), F.first("fp").alias("fp")))
+    roots = components(_by_fingerprints(distinct).unionByName(_by_bands(distinct)), "a", "b")
     members = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct()).withColumnRenamed("node", "dig")
     wanted = members.join(distinct, "dig").select("least.id", "least.th", "root", "dig", "sketch", "size")
     large = cut(_parts(wanted, texts, size).where("parts > 1"))

@@ -38,11 +38,12 @@ def masks(bits: int = BITS, radius: int = RADIUS, seed: int = 20) -> list[int]:
 
 def simhash(text: str | None) -> int:
     """Majority bits of the XXH64 (seed 42) of all 3-word shingles."""
-    return next(_fingerprints(pa.array([text], pa.string())))
+    return next(column_fingerprints(pa.array([text], pa.string())))
 
 
-def _fingerprints(column: pa.Array) -> Iterator[int]:
-    hasher = xxhash.xxh64_intdigest
+def column_fingerprints(column: pa.Array, size: int = 3) -> Iterator[int]:
+    """Of each text, from shingles of ``size`` words."""
+    hasher, form = xxhash.xxh64_intdigest, b" ".join([b"%b"] * size)
     for _, data, offsets in ts.groups(column):
         data = ts.LOWER[data]
         start, end, first = ts.words(data, offsets, ~ts.SPACE)
@@ -54,15 +55,15 @@ def _fingerprints(column: pa.Array) -> Iterator[int]:
                 yield 0
                 continue
             bits = np.zeros(64, dtype=np.int64)
-            for k in range(a, max(a + 1, b - 2), SHINGLES):  # shingles that start in [k, k + SHINGLES)
-                w = words[k : min(b, k + SHINGLES + 2)]
-                if b - a < 3:
+            for k in range(a, max(a + 1, b - size + 1), SHINGLES):  # shingles that start in [k, k + SHINGLES)
+                w = words[k : min(b, k + SHINGLES + size - 1)]
+                if b - a < size:
                     h = [hasher(b" ".join(w), 42)]
                 else:
-                    h = [hasher(x, 42) for x in map(b"%b %b %b".__mod__, zip(w, w[1:], w[2:]))]
+                    h = [hasher(x, 42) for x in map(form.__mod__, zip(*(w[n:] for n in range(size))))]
                 some = np.asarray(h, dtype=">u8")
                 bits += np.unpackbits(some.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-            yield int.from_bytes(np.packbits(2 * bits > max(1, b - a - 2)).tobytes(), "big")
+            yield int.from_bytes(np.packbits(2 * bits > max(1, b - a - size + 1)).tobytes(), "big")
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -70,7 +71,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.fromiter(_fingerprints(b.column(1)), dtype=np.uint64, count=b.num_rows)
+            fp = np.fromiter(column_fingerprints(b.column(1)), dtype=np.uint64, count=b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ts.signed(fp), pa.int64())], names=[id_col, "fp"])
 
     return docs.select(id_col, F.col(text_col).alias("t")).mapInArrow(lean(run), f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, fp long")

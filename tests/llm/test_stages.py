@@ -6,11 +6,12 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline as cp
-from nearsort.llm import shingles, suffixes
+from nearsort.llm import shingles, simhash, suffixes
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -141,6 +142,21 @@ def test_near_copies_beyond_three_bits_meet(spark, data):
     assert got == {i for i in range(160) if i % 4 != 1}
 
 
+def test_covering_simhash_alone_brings_near_texts_together(spark, monkeypatch):
+    """Without any band, what is within three bits of the five-word fingerprints meets and is verified, and nothing else."""
+    monkeypatch.setattr(shingles, "_by_bands", lambda distinct: distinct.select(F.col("dig").alias("a"), F.col("dig").alias("b")).limit(0))
+    rows, near = [], set()
+    for k in range(30):
+        one = prose(4000 + k, 300)
+        other = [*one[:-1], f"x{k}"] if k % 2 else [*one[:100], *(f"x{n}" for n in range(40)), *one[140:]]
+        rows += [(2 * k, " ".join(one), "en"), (2 * k + 1, " ".join(other), "en")]
+        a, b = simhash.column_fingerprints(pa.array([" ".join(one), " ".join(other)]), 5)
+        if (a ^ b).bit_count() <= 3 and shingles.alike(*(shingles.shingles(" ".join(x).encode()) for x in (one, other))):
+            near.add(2 * k + 1)
+    assert 5 < len(near) < 30
+    assert {r.doc_id for r in shingles.keep_one(table(spark, rows)).collect()} == set(range(60)) - near
+
+
 def test_texts_of_one_id_are_told_apart(spark):
     rows = [(1, " ".join(prose(1, 30)), "en"), (1, " ".join(prose(2, 30)), "en"), (1, " ".join(prose(1, 30)), "en"), (None, "x y", "en"), (None, "x y", "en")]
     assert sorted(r.doc_id or 0 for r in shingles.keep_one(table(spark, rows)).collect()) == [0, 0, 1, 1]

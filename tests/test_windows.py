@@ -175,6 +175,38 @@ def test_pairs_of_a_heavy_band_are_the_work_of_many_tasks(spark, small_tiles):
     assert largest_share(found) < 0.3
 
 
+def bytes_a_pair(found, folder):
+    found.write.parquet(str(folder))
+    return sum(f.stat().st_size for f in folder.glob("*.parquet")) / found.sparkSession.read.parquet(str(folder)).count()
+
+
+def moved(found):
+    """Records that the plan's shuffles write."""
+    spark = found.sparkSession
+    adaptive = spark.conf.get("spark.sql.adaptive.enabled")
+    try:
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        found = found.agg(F.sum(F.hash("left_id", "right_id").cast("long")))
+        found.collect()
+        nodes, at = [found._jdf.queryExecution().executedPlan()], 0
+        while at < len(nodes):
+            below = nodes[at].children()
+            nodes += [below.apply(i) for i in range(below.size())]
+            at += 1
+        return sum(n.metrics().apply("shuffleRecordsWritten").value() for n in nodes if n.nodeName() == "Exchange")
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
+def test_all_pairs_move_no_copies_and_are_small(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(pairs, "TILE", 100)
+    ids = spark.range(1500).select(F.xxhash64("id").alias("id"))
+    found = methods.cross_pairs(ids)
+    assert found.count() == 1500 * 1499 // 2
+    assert moved(found) < 1500
+    assert bytes_a_pair(found, tmp_path / "out") < 0.5
+
+
 def test_balanced_cuts_far_and_near_agree(spark, data):
     from nearsort.sources import tables
 

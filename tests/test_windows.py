@@ -207,6 +207,31 @@ def test_all_pairs_move_no_copies_and_are_small(spark, tmp_path, monkeypatch):
     assert bytes_a_pair(found, tmp_path / "out") < 0.5
 
 
+def test_bands_move_tiles_and_are_small(spark, tmp_path, monkeypatch):
+    from nearsort.operators import relational as rel
+
+    monkeypatch.setattr(pairs, "TILE", 600)
+    df = spark.range(3000).select(F.xxhash64("id").alias("id"), (F.pmod(F.xxhash64("id"), F.lit(1500)) / 1000).alias("v"))
+    found = rel.band_join(df, df, "v", 1.0)
+    vs = [r.v for r in df.collect()]
+    assert found.count() == sum(abs(a - b) <= 1.0 for a in vs for b in vs)
+    assert moved(found) < 3000
+    assert bytes_a_pair(found, tmp_path / "out") < 0.5
+
+
+def test_a_band_makes_few_pairs_of_one_joined_row(spark, monkeypatch):
+    """Rows of a heavy tile are not made all at once from one joined row: Spark holds in memory what one row makes."""
+    from nearsort.operators import relational as rel
+
+    df = spark.range(700).select("id", F.lit(7.0).alias("v"))
+    monkeypatch.setattr(pairs, "LIST", 8)
+    found = rel.band_join(df, df.select("id", "v"), "v", 1.0)
+    assert found.count() == found.distinct().count() == 700 * 700
+    found.collect()
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("posexplode(right_ids") and "posexplode(left_ids" not in plan.split("SortMergeJoin")[0]
+
+
 def test_balanced_cuts_far_and_near_agree(spark, data):
     from nearsort.sources import tables
 
